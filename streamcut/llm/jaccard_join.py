@@ -31,6 +31,8 @@ from .wordhash import mix, windows, words_of
 
 #: Documents in a block of a tile, and the most frequent shingles that are ordered last (this order only saves work).
 BLOCK, LAST = 1024, 20_000
+#: Ids up to which the documents of candidate pairs are picked by a broadcast, else by a shuffled join.
+BROADCAST_IDS = 500_000
 #: A shingle is locally frequent if at least this share of a slice's documents, and this many, hold it.
 SHARE, LEAST = 0.002, 16
 _U = np.uint64
@@ -134,25 +136,29 @@ def _wide(texts: DataFrame, size: int) -> DataFrame:
     return texts.mapInArrow(build, "doc_id long, n int, bitmap binary").where("n > 0")
 
 
-def _lists(index: DataFrame) -> DataFrame:
-    """Blocks (list_id, block, lo, hi, members) of documents that share a prefix shingle; equal short lists once."""
+def _lists(index: DataFrame, percent: int) -> DataFrame:
+    """Blocks (list_id, block, lo, hi, members) of documents that share a prefix shingle; equal short lists once.
+
+    A shingle's documents, by rising size, are cut where the next size is out of reach of the one before.
+    """
 
     def runs(batches):
         done: set[int] = set()
         held: list[np.ndarray] = []  # the run that may go on in the next batch, as rows of (doc, n)
-        last, blocks = None, 0
+        last, last_n, blocks, begun = None, 0, 0, 0
 
         def rows(found):
             return pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], t) for i, t in enumerate((pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.int64())))], names=["list_id", "block", "lo", "hi", "members"])
 
         def close(final):
             """Full blocks of the held run, and all of it at its end."""
-            nonlocal held, blocks
+            nonlocal held, blocks, begun
             run = np.concatenate(held)
             held = [run]
             out = []
+            begun = begun if blocks else int(run[0, 1])
             while len(run) > BLOCK or (final and blocks and len(run)):
-                out.append((last, blocks, int(run[0, 1]), int(run[:BLOCK, 1].max()), run[:BLOCK, 0]))
+                out.append((last ^ begun, blocks, int(run[0, 1]), int(run[:BLOCK, 1].max()), run[:BLOCK, 0]))
                 blocks, run = blocks + 1, run[BLOCK:]
                 held = [run]
             if final:
@@ -169,10 +175,11 @@ def _lists(index: DataFrame) -> DataFrame:
                 continue
             key = batch.column("key").to_numpy()
             pairs = np.stack([batch.column("doc_id").to_numpy(), batch.column("n").to_numpy().astype(np.int64)], axis=1)
-            first = np.flatnonzero(np.concatenate(([True], key[1:] != key[:-1])))
+            far = 100 * pairs[:-1, 1] < percent * pairs[1:, 1]
+            first = np.flatnonzero(np.concatenate(([True], (key[1:] != key[:-1]) | far)))
             size = np.diff(first, append=len(key))
             found = []
-            if held and key[0] != last:
+            if held and (key[0] != last or 100 * last_n < percent * pairs[0, 1]):
                 found += close(True)
             marks = np.add.reduceat(mix(pairs[:, 0].astype(_U) + _U(77)), first).view(np.int64)
             inner = np.flatnonzero(size > 1)
@@ -186,12 +193,12 @@ def _lists(index: DataFrame) -> DataFrame:
                         found.append((mark, 0, int(pairs[a, 1]), int(pairs[a:b, 1].max()), pairs[a:b, 0]))
                 else:
                     for k, at in enumerate(range(a, b, BLOCK)):
-                        found.append((int(key[a]), k, int(pairs[at, 1]), int(pairs[at : min(b, at + BLOCK), 1].max()), pairs[at : min(b, at + BLOCK), 0]))
+                        found.append((int(key[a] ^ pairs[a, 1]), k, int(pairs[at, 1]), int(pairs[at : min(b, at + BLOCK), 1].max()), pairs[at : min(b, at + BLOCK), 0]))
             for g in dict.fromkeys((0, len(first) - 1)):  # the ends may join runs of other batches
-                if held and key[first[g]] != last:
+                if g:
                     found += close(True)
                 held.append(pairs[first[g] : first[g] + size[g]])
-                last = int(key[first[g]])
+                last, last_n = int(key[first[g]]), int(pairs[first[g] + size[g] - 1, 1])
             found += close(False)
             if found:
                 yield rows(found)
@@ -331,10 +338,9 @@ def jaccard_classes(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFr
     index = scratch.keep(_index(docs, size, percent, _frequent(docs, size)), "index")
     first = index.where("n > 0 and doc_id is not null").groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"))
     own = scratch.keep(index.select("doc_id", "n", "d1", "d2").join(first, ["d1", "d2"], "left").select("doc_id", "n", F.when(F.col("n") > 0, F.col("rep")).otherwise(F.col("doc_id")).alias("rep")), "own")
-    tiles = scratch.keep(_tiles(scratch.keep(_lists(index), "lists"), percent), "tiles")
+    tiles = scratch.keep(_tiles(scratch.keep(_lists(index, percent), "lists"), percent), "tiles")
     met = tiles.select("doc_id").distinct()
     maps = scratch.keep(index.where("bitmap is not null").select("doc_id", "n", "bitmap").join(met, "doc_id", "left_semi"), "maps")
-    texts = scratch.keep(docs.join(met, "doc_id", "left_semi"), "texts")
     # Rows that share an id, and exact copies, are linked from the start.
     label = scratch.keep(own.join(met, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("rep").alias("label")), "label")
     links = own.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")).distinct()
@@ -347,9 +353,15 @@ def jaccard_classes(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFr
         pairs = scratch.keep(offered.where("complete").select("a", "b").union(one).distinct(), "pairs")
         if pairs.isEmpty():
             break
+        rest = offered.where("not complete").select("tile").distinct()
+        if not mode:
+            # Later rounds look at the unsettled tiles only, so these texts last for all rounds.
+            later = tiles.join(rest, "tile", "left_semi").select("doc_id")
+            need = scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).union(later).distinct(), "need")
+            few = need.count() <= BROADCAST_IDS
+            texts = scratch.keep(docs.join(F.broadcast(need) if few else need, "doc_id", "left_semi"), "texts")
         linked = scratch.keep(_linked(pairs, texts, size, percent), "linked")
         found = linked if found is None else found.unionByName(linked)
-        rest = offered.where("not complete").select("tile").distinct()
         if rest.isEmpty():
             break
         ends = linked.join(label.select(F.col("doc_id").alias("a"), F.col("label").alias("la")), "a").join(label.select(F.col("doc_id").alias("b"), F.col("label").alias("lb")), "b")
