@@ -9,9 +9,9 @@ Documents are sets of distinct word shingles.  Two sets link when ``100 * |x & y
 * Bitmaps.  Each set has a parity bitmap of at least two bits a shingle.  The bits in which two bitmaps differ are at
   most the symmetric difference, which bounds the intersection from above; a pair that can't reach the threshold goes.
 * Exact check.  The sets of remaining pairs are built from the whole texts and intersected as sorted arrays.
-* Groups of many near copies.  Pairs already in one component need no check.  A tile with few pairs left has all of
-  them checked and is done; in another each document offers one partner.  The links found join components, and the
-  next round looks at the tiles not done, with other partners.  No pair is dropped but inside a component, so the
+* Groups of many near copies.  Pairs already in one component need no check.  At first each document offers one
+  partner, which is all that most groups need.  The links found join components, and the next round looks at the tiles
+  that still have pairs between components: if they are few all are checked, else documents offer other partners.  No pair is dropped but inside a component, so the
   components are those of all links.
 
 Results for odd input: null or wordless text has an empty set, linked with nothing; fewer words than a shingle make one
@@ -246,9 +246,10 @@ def _reach(n: np.ndarray, maps: list[bytes], i: np.ndarray, j: np.ndarray, perce
 def _candidates(members: DataFrame, percent: int, mode: int) -> DataFrame:
     """Pairs (tile, a, b, complete) of different components that the bitmaps let through.
 
-    ``members``: tile, side, doc_id, label, n, bitmap.  A tile with few such pairs offers all (complete); another one
-    offers for each document one partner of a smaller id (mode 0: the smallest id; else by a hash of the mode).  What
-    counts as few grows with the mode, so that the rounds end.
+    ``members``: tile, side, doc_id, label, n, bitmap.  From mode 1 on a tile with few such pairs offers all (complete);
+    another one offers for each document one partner of a smaller id (mode 0: the smallest id; else by a hash of the
+    mode).  What counts as few grows with the mode, so that the rounds end.  In mode 0 no tile is complete: the lists
+    of a group of near copies overlap, and all their pairs together would be nearly all pairs of the group.
     """
 
     def solve(t: pa.Table):
@@ -274,7 +275,8 @@ def _candidates(members: DataFrame, percent: int, mode: int) -> DataFrame:
         i, j = np.concatenate(found, axis=1)
         a, b, g = np.minimum(ids[i], ids[j]), np.maximum(ids[i], ids[j]), number[i]
         size = np.bincount(number)
-        complete = np.bincount(g, minlength=len(size)) <= (2 * size + 16) << 2 * mode
+        pairs = np.bincount(g, minlength=len(size))
+        complete = pairs <= (2 * size + 16) << 2 * mode if mode else pairs == 0
         take = complete[g]
         if not take.all():
             rank = a.astype(_U) if mode == 0 else mix(a.astype(_U) * _U(2 * mode + 1) ^ b.astype(_U))
@@ -348,7 +350,11 @@ def jaccard_classes(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFr
     while True:
         live = tiles.join(label, "doc_id")
         mixed = live.groupBy("tile").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("tile")
-        offered = scratch.keep(_candidates(live.join(mixed, "tile", "left_semi").join(maps, "doc_id"), percent, mode), "offered")
+        live = live.join(mixed, "tile", "left_semi")
+        if mode == 1:
+            live = scratch.keep(live, "live")
+            maps = scratch.keep(_wide(texts.join(live.select("doc_id").distinct(), "doc_id", "left_semi"), size), "wide")
+        offered = scratch.keep(_candidates(live.join(maps, "doc_id"), percent, mode), "offered")
         one = offered.where("not complete").groupBy("b").agg(F.min_by("a", F.col("a") if mode == 0 else F.xxhash64("a", F.lit(mode))).alias("a")).select("a", "b")
         pairs = scratch.keep(offered.where("complete").select("a", "b").union(one).distinct(), "pairs")
         if pairs.isEmpty():
@@ -368,8 +374,6 @@ def jaccard_classes(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFr
         roots = frames.components(scratch, ends.select(F.col("la").alias("a"), F.col("lb").alias("b")))
         label = scratch.keep(label.join(roots.withColumnRenamed("node", "label"), "label", "left").select("doc_id", F.coalesce("root", "label").alias("label")), "label")
         tiles, mode = scratch.keep(tiles.join(rest, "tile", "left_semi"), "tiles"), mode + 1
-        if mode == 1:
-            maps = scratch.keep(_wide(texts.join(tiles.select("doc_id").distinct(), "doc_id", "left_semi"), size), "wide")
     if found is not None:
         links = links.unionByName(found)
     roots = frames.components(scratch, links)

@@ -2,7 +2,7 @@
 
 * Training rows: labelled documents outside the held-out third, at most ``FIT_ROWS`` of them, chosen by a hash of the id
   (the bound keeps the fit the same size on any corpus).
-* Features: 4- and 5-grams of the ASCII-lowered UTF-8 bytes, white space runs as one blank each byte; a text has a
+* Features: 5- and 7-grams of the ASCII-lowered UTF-8 bytes, all white space bytes as blanks; a text has a
   feature or not.  A feature's ratio is log((n1 + a) / (N1 + 2a)) - log((n0 + a) / (N0 + 2a)) over toxic and clean
   training texts.  The ``FEATURES`` n-grams of the largest chi-square stay; they are exact n-grams, not hash buckets.
 * Classifier: logistic regression with an L2 penalty on ratio-scaled features, fitted by Newton-like steps.
@@ -21,6 +21,7 @@ from pyspark.sql import functions as F
 
 from . import frames
 
+LENGTHS = (5, 7)
 FIT_ROWS, FEATURES, SMOOTHING, PENALTY = 20_000, 4096, 1.0, 1.0
 THRESHOLD = 0.7
 _U = np.uint64
@@ -31,16 +32,16 @@ _SPREAD = _U(0x9E3779B97F4A7C15)
 
 
 def grams(texts: list[bytes]):
-    """(codes, text number) of all 4- and 5-grams, length in the highest byte."""
+    """(codes, text number) of all n-grams of the lengths in ``LENGTHS``, length in the highest byte."""
     flat = _MAP[np.frombuffer(b"".join(texts), dtype=np.uint8)].astype(_U)
     ends = np.cumsum([len(t) for t in texts])
     doc = np.repeat(np.arange(len(texts)), [len(t) for t in texts])
     room = ends[doc] - np.arange(len(flat))
     out = []
     code = np.zeros(len(flat), dtype=_U)
-    for k in range(5):
+    for k in range(LENGTHS[-1]):
         code[: len(flat) - k if k else None] |= flat[k:] << _U(8 * k)
-        if k >= 3:
+        if k + 1 in LENGTHS:
             ok = room > k
             out.append((code[ok] | _U(k + 1) << _U(56), doc[ok]))
     return out
