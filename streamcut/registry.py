@@ -154,12 +154,12 @@ def _greedy_sql(graph: str, sched: str, p: int, guard: bool) -> str:
     return _sql(graph, f""", {_STREAM}, {sched},
     vs AS (SELECT v, row_number() OVER (ORDER BY v) AS i FROM (SELECT src AS v FROM e UNION SELECT dst FROM e)),
     sc AS MATERIALIZED (SELECT place_seq, cmp, guarded, a.i AS iu, b.i AS iv FROM sched JOIN vs a ON a.v = src JOIN vs b ON b.v = dst),
-    r AS (SELECT CAST(0 AS BIGINT) AS t, (SELECT list_transform(range(count(*)), lambda x: CAST(0 AS BIGINT)) FROM vs) AS at, list_transform(range({p}), lambda x: CAST(0 AS BIGINT)) AS loads, CAST(-1 AS BIGINT) AS part
+    r AS (SELECT CAST(0 AS BIGINT) AS t, (SELECT list_transform(range(count(*)), lambda x: CAST(0 AS BIGINT)) FROM vs) AS masks, list_transform(range({p}), lambda x: CAST(0 AS BIGINT)) AS loads, CAST(-1 AS BIGINT) AS part
       UNION ALL
-      SELECT t + 1, list_transform(at, lambda x, i: CASE WHEN i = iu OR i = iv THEN x | (CAST(1 AS BIGINT) << CAST(k AS INTEGER)) ELSE x END), list_transform(loads, lambda x, i: CASE WHEN i = k + 1 THEN x + 1 ELSE x END), k FROM (
-        SELECT t, at, loads, iu, iv, list_min(list_transform(list_filter(range({p}), lambda j: (cand >> CAST(j AS INTEGER)) & 1 = 1), lambda j: loads[j + 1] * {p} + j)) % {p} AS k FROM (
-          SELECT r.t, r.at, r.loads, sc.iu, sc.iv, CASE WHEN {over} THEN {every} WHEN r.at[iu] & r.at[iv] <> 0 THEN r.at[iu] & r.at[iv] WHEN r.at[iu] | r.at[iv] = 0 THEN {every}
-            WHEN sc.cmp = 0 OR r.at[iu] = 0 OR r.at[iv] = 0 THEN r.at[iu] | r.at[iv] WHEN sc.cmp < 0 THEN r.at[iu] ELSE r.at[iv] END AS cand
+      SELECT t + 1, list_transform(masks, lambda x, i: CASE WHEN i = iu OR i = iv THEN x | (CAST(1 AS BIGINT) << CAST(k AS INTEGER)) ELSE x END), list_transform(loads, lambda x, i: CASE WHEN i = k + 1 THEN x + 1 ELSE x END), k FROM (
+        SELECT t, masks, loads, iu, iv, list_min(list_transform(list_filter(range({p}), lambda j: (cand >> CAST(j AS INTEGER)) & 1 = 1), lambda j: loads[j + 1] * {p} + j)) % {p} AS k FROM (
+          SELECT r.t, r.masks, r.loads, sc.iu, sc.iv, CASE WHEN {over} THEN {every} WHEN r.masks[iu] & r.masks[iv] <> 0 THEN r.masks[iu] & r.masks[iv] WHEN r.masks[iu] | r.masks[iv] = 0 THEN {every}
+            WHEN sc.cmp = 0 OR r.masks[iu] = 0 OR r.masks[iv] = 0 THEN r.masks[iu] | r.masks[iv] WHEN sc.cmp < 0 THEN r.masks[iu] ELSE r.masks[iv] END AS cand
           FROM r JOIN sc ON sc.place_seq = r.t)))
     SELECT src, dst, seq, CAST(part AS INTEGER) AS part FROM sched JOIN r ON r.t = place_seq + 1""")
 
