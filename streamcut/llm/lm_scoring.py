@@ -40,7 +40,7 @@ from .wordhash import mix, words_of
 STRENGTH, DISCOUNT = 8.0, 0.75
 SLOTS = 1 << 20
 #: Tokens, and documents, of one packed block.
-BLOCK_TOKENS, BLOCK_DOCS = 1_500_000, 60_000
+BLOCK_TOKENS, BLOCK_DOCS = 1_200_000, 60_000
 _U = np.uint64
 END, START = _U(0xE1D0E1D0E1D0E1D1), _U(0x57A2757A27500001)
 
@@ -176,6 +176,7 @@ def _answer(stats):
     def shard(table: pa.Table):
         known = stats.value
         rows = table.to_pylist()
+        del table
         meta = [r for r in rows if r["doc"] is None]
         rows = [r for r in rows if r["doc"] is not None]
         if rows:
@@ -185,15 +186,20 @@ def _answer(stats):
             code[:, :5] = np.frombuffer(b"".join(r["code"] for r in rows), np.uint8).reshape(-1, 5)
             code = code.view("<u8").ravel()
             sizes = [len(r["doc"]) // 2 for r in rows]
-            doc = np.concatenate([np.frombuffer(r["doc"], np.uint16) for r in rows]).astype(np.int64)
+            small = np.int32 if len(rows) < 1 << 15 else np.int64
+            doc = np.concatenate([np.frombuffer(r["doc"], np.uint16) for r in rows]).astype(small)
             train = np.concatenate([np.unpackbits(np.frombuffer(r["held"], np.uint8))[doc[e - s : e]] == 0 for r, s, e in zip(rows, sizes, np.cumsum(sizes))])
-            doc += np.repeat(np.arange(len(rows), dtype=np.int64) << 16, sizes)
+            doc += np.repeat(np.arange(len(rows), dtype=small) << 16, sizes)
+            chunks = [r["chunk"] for r in rows]
+            del rows
             order = np.lexsort((code, w))
             w, code, doc, train = w[order], code[order], doc[order], train[order]
+            del order
             first = np.concatenate(([True], (w[1:] != w[:-1]) | (code[1:] != code[:-1])))
-            pair = np.cumsum(first) - 1
+            pair = np.cumsum(first, dtype=np.int32) - 1
             seen = np.bincount(pair[train], minlength=pair[-1] + 1)
             pair_w, pair_code = w[first], code[first]
+            del w, code, train
             new = np.concatenate(([True], pair_w[1:] != pair_w[:-1]))
             word = np.cumsum(new) - 1
             words, count = pair_w[new], np.bincount(word, seen).astype(np.int64)
@@ -219,9 +225,12 @@ def _answer(stats):
             some = in_w[word].astype(float)
             cell, inverse = np.unique(doc, return_inverse=True)
             sums = [np.bincount(inverse, x[pair]) for x in (base, value, some)]
-            cuts = np.searchsorted(cell, np.arange(len(rows) + 1, dtype=np.int64) << 16)
-            for r, a, b in zip(rows, cuts, cuts[1:]):
-                yield (r["chunk"], 0, (cell[a:b] & 0xFFFF).astype(np.uint16).tobytes(), sums[0][a:b].tobytes(), sums[1][a:b].tobytes(), sums[2][a:b].astype(np.uint32).tobytes())
+            cuts = np.searchsorted(cell, np.arange(len(chunks) + 1, dtype=np.int64) << 16)
+            for c, a, b in zip(chunks, cuts, cuts[1:]):
+                # The model's sums are quantised anyway: single precision is enough for them on the way.
+                n = sums[2][a:b].astype(np.uint32)
+                n = n.astype(np.uint8) if not len(n) or n.max() < 256 else n
+                yield (c, 0, (cell[a:b] & 0xFFFF).astype(np.uint16).tobytes(), sums[0][a:b].tobytes(), sums[1][a:b].astype(np.float32).tobytes(), n.tobytes())
         for r in meta:
             yield (r["chunk"], 1, r["w"], r["n"], r["held"], r["code"])
 
@@ -249,8 +258,8 @@ def _total(stats):
                 if r["kind"] == 0:
                     at = np.frombuffer(r["p"], np.uint16)
                     base[at] += np.frombuffer(r["q"], float)
-                    value[at] += np.frombuffer(r["r"], float)
-                    some[at] += np.frombuffer(r["s"], np.uint32)
+                    value[at] += np.frombuffer(r["r"], np.float32)
+                    some[at] += np.frombuffer(r["s"], np.uint8 if len(r["s"]) == len(at) else np.uint32)
             base -= n * np.log10(known.total + 0.5 * (known.distinct + 1))
             value -= np.log10(known.docs + known.prior(known.bands[_slot(np.array([START]))])[0])
             yield pa.RecordBatch.from_arrays(
@@ -266,7 +275,7 @@ def score(docs: DataFrame, folds: int = 5) -> DataFrame:
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), held_out("doc_id", folds).alias("held"))
     stats = spark.sparkContext.broadcast(statistics(docs, frames.Scratch(spark, "lm")))
-    shards = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    shards = 2 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     dealt = docs.mapInArrow(_blocks(stats, shards), "shard long, chunk long, w binary, n binary, code binary, doc binary, held binary")
     part = dealt.repartition(shards, "shard").sortWithinPartitions("shard").mapInArrow(_answer(stats), "chunk long, kind int, p binary, q binary, r binary, s binary")
     done = part.repartition("chunk").sortWithinPartitions("chunk").mapInArrow(_total(stats), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
