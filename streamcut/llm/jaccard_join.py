@@ -9,6 +9,8 @@ Documents are sets of distinct word shingles.  Two sets link when ``100 * |x & y
 * Bitmaps.  Each set has a parity bitmap of at least two bits a shingle.  The bits in which two bitmaps differ are at
   most the symmetric difference, which bounds the intersection from above; a pair that can't reach the threshold goes.
 * Exact check.  The sets of remaining pairs are built from the whole texts and intersected as sorted arrays.
+* Second bitmaps.  Documents without a possible partner leave the tiles, and equal tiles become one.  The others get
+  bitmaps of eight bits a shingle, which bound the intersection almost exactly.
 * Groups of many near copies.  Pairs already in one component need no check.  At first each document offers one
   partner, which is all that most groups need.  The links found join components, and the next round looks at the tiles
   that still have pairs between components: if they are few all are checked, else documents offer other partners.  No pair is dropped but inside a component, so the
@@ -125,13 +127,13 @@ def _index(docs: DataFrame, size: int, percent: int, frequent: np.ndarray) -> Da
 
 
 def _wide(texts: DataFrame, size: int) -> DataFrame:
-    """Bitmaps of 32 bits a shingle, for the documents of tiles that the first ones did not settle."""
+    """Bitmaps of eight bits a shingle, for the documents that the first ones left."""
 
     def build(batches):
         for batch in batches:
             for part in frames.pieces(batch):
                 sets = _sets(frames.raw(part), size)
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(s) for s in sets], pa.int32()), pa.array([_bitmap(s, 32) for s in sets], pa.binary())], names=["doc_id", "n", "bitmap"])
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(s) for s in sets], pa.int32()), pa.array([_bitmap(s, 8) for s in sets], pa.binary())], names=["doc_id", "n", "bitmap"])
 
     return texts.mapInArrow(build, "doc_id long, n int, bitmap binary").where("n > 0")
 
@@ -243,61 +245,87 @@ def _reach(n: np.ndarray, maps: list[bytes], i: np.ndarray, j: np.ndarray, perce
     return ok
 
 
+def _pairs(t: pa.Table, percent: int):
+    """(tile number of each row, rows' ids, i, j): pairs of rows of one tile that the sizes and bitmaps let through."""
+    tile, side, ids, label = (t.column(c).to_numpy() for c in ("tile", "side", "doc_id", "label"))
+    n, maps = t.column("n").to_numpy().astype(np.int64), t.column("bitmap").to_pylist()
+    number = np.cumsum(np.concatenate(([0], tile[1:] != tile[:-1])))
+    two = np.bincount(number, side, minlength=number[-1] + 1)[number] > 0
+    upto = np.searchsorted(number << 33 | n, number << 33 | (100 * n) // percent, side="right")
+    counts = upto - np.arange(len(n)) - 1
+    found = []
+    start = 0
+    while start < len(n):
+        stop = max(start + 1, int(np.searchsorted(np.cumsum(counts[start:]), 1_000_000)) + start)
+        c = counts[start:stop]
+        i = np.repeat(np.arange(start, stop), c)
+        j = i + 1 + np.arange(c.sum()) - np.repeat(np.cumsum(c) - c, c)
+        ok = (label[i] != label[j]) & (~two[i] | (side[i] != side[j]))
+        i, j = i[ok], j[ok]
+        ok = _reach(n, maps, i, j, percent) if len(i) else ok[:0]
+        found.append(np.stack([i[ok], j[ok]]))
+        start = stop
+    i, j = np.concatenate(found, axis=1)
+    return tile, number, ids, i, j
+
+
+def _per_tiles(members: DataFrame, solve, schema: str) -> DataFrame:
+    """``solve`` on whole tiles, a few megabytes of them at a time, rows by rising set size."""
+
+    def scan(batches):
+        held, load = [], 0
+        for t in frames.groups(batches, "tile"):
+            held.append(t)
+            load += t.nbytes + 400 * t.num_rows
+            if load >= 10_000_000:
+                yield solve(pa.concat_tables(held).combine_chunks())
+                held, load = [], 0
+        if held:
+            yield solve(pa.concat_tables(held).combine_chunks())
+
+    return members.repartition("tile").sortWithinPartitions("tile", "n", "doc_id").mapInArrow(scan, schema)
+
+
+def _screen(members: DataFrame, percent: int) -> DataFrame:
+    """Tiles (tile, side, doc_id) of only the documents that have a possible partner; equal ones once.
+
+    ``members``: tile, side, doc_id, label, n, bitmap.
+    """
+
+    def solve(t: pa.Table):
+        _, number, ids, i, j = _pairs(t, percent)
+        rows = np.unique(np.concatenate([i, j]))
+        first = np.flatnonzero(np.concatenate(([True], number[rows][1:] != number[rows][:-1]))) if len(rows) else rows
+        mark = np.add.reduceat(mix(ids[rows].astype(_U) + _U(99)), first).view(np.int64) if len(rows) else rows
+        mark = np.repeat(mark, np.diff(first, append=len(rows))) if len(rows) else rows
+        return pa.RecordBatch.from_arrays([pa.array(mark, pa.int64()), pa.array(np.zeros(len(rows), np.int32)), pa.array(ids[rows], pa.int64())], names=["tile", "side", "doc_id"])
+
+    return _per_tiles(members, solve, "tile long, side int, doc_id long").distinct()
+
+
 def _candidates(members: DataFrame, percent: int, mode: int) -> DataFrame:
     """Pairs (tile, a, b, complete) of different components that the bitmaps let through.
 
-    ``members``: tile, side, doc_id, label, n, bitmap.  From mode 1 on a tile with few such pairs offers all (complete);
-    another one offers for each document one partner of a smaller id (mode 0: the smallest id; else by a hash of the
-    mode).  What counts as few grows with the mode, so that the rounds end.  In mode 0 no tile is complete: the lists
-    of a group of near copies overlap, and all their pairs together would be nearly all pairs of the group.
+    A tile with few such pairs offers all (complete); another one offers for each document one partner of a smaller id
+    (mode 1: the smallest id; else by a hash of the mode).  What counts as few grows with the mode, so that the rounds
+    end; it is very few at first, since the tiles of a group of near copies overlap, and all their pairs together would
+    be nearly all pairs of the group.
     """
 
     def solve(t: pa.Table):
-        tile, side, ids, label = (t.column(c).to_numpy() for c in ("tile", "side", "doc_id", "label"))
-        n, maps = t.column("n").to_numpy().astype(np.int64), t.column("bitmap").to_pylist()
-        number = np.cumsum(np.concatenate(([0], tile[1:] != tile[:-1])))
-        two = np.bincount(number, side, minlength=number[-1] + 1)[number] > 0
-        place = number << 33 | n
-        upto = np.searchsorted(place, number << 33 | (100 * n) // percent, side="right")
-        counts = upto - np.arange(len(n)) - 1
-        found = []
-        start = 0
-        while start < len(n):
-            stop = max(start + 1, int(np.searchsorted(np.cumsum(counts[start:]), 1_000_000)) + start)
-            c = counts[start:stop]
-            i = np.repeat(np.arange(start, stop), c)
-            j = i + 1 + np.arange(c.sum()) - np.repeat(np.cumsum(c) - c, c)
-            ok = (label[i] != label[j]) & (~two[i] | (side[i] != side[j]))
-            i, j = i[ok], j[ok]
-            ok = _reach(n, maps, i, j, percent) if len(i) else ok[:0]
-            found.append(np.stack([i[ok], j[ok]]))
-            start = stop
-        i, j = np.concatenate(found, axis=1)
+        tile, number, ids, i, j = _pairs(t, percent)
         a, b, g = np.minimum(ids[i], ids[j]), np.maximum(ids[i], ids[j]), number[i]
         size = np.bincount(number)
-        pairs = np.bincount(g, minlength=len(size))
-        complete = pairs <= (2 * size + 16) << 2 * mode if mode else pairs == 0
+        complete = np.bincount(g, minlength=len(size)) <= (4 if mode == 1 else (2 * size + 16) << 2 * (mode - 2))
         take = complete[g]
         if not take.all():
-            rank = a.astype(_U) if mode == 0 else mix(a.astype(_U) * _U(2 * mode + 1) ^ b.astype(_U))
+            rank = a.astype(_U) if mode == 1 else mix(a.astype(_U) * _U(2 * mode + 1) ^ b.astype(_U))
             order = np.flatnonzero(~take)
             order = order[np.lexsort((rank[order], b[order], g[order]))]
             take[order[np.concatenate(([True], (b[order][1:] != b[order][:-1]) | (g[order][1:] != g[order][:-1])))]] = True
         return pa.RecordBatch.from_arrays([pa.array(tile[i[take]]), pa.array(a[take]), pa.array(b[take]), pa.array(complete[g[take]])], names=["tile", "a", "b", "complete"])
 
-    def scan(batches):
-        held, load = [], 0
-        for t in frames.groups(batches, "tile"):
-            held.append(t)
-            load += t.nbytes + 400 * t.num_rows
-            if load >= 10_000_000:
-                yield solve(pa.concat_tables(held).combine_chunks())
-                held, load = [], 0
-        if held:
-            yield solve(pa.concat_tables(held).combine_chunks())
-
-    rows = members.repartition("tile").sortWithinPartitions("tile", "n", "doc_id")
-    return rows.mapInArrow(scan, "tile long, a long, b long, complete boolean")
+    return _per_tiles(members, solve, "tile long, a long, b long, complete boolean")
 
 
 def _linked(pairs: DataFrame, texts: DataFrame, size: int, percent: int) -> DataFrame:
@@ -346,28 +374,24 @@ def jaccard_classes(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFr
     # Rows that share an id, and exact copies, are linked from the start.
     label = scratch.keep(own.join(met, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("rep").alias("label")), "label")
     links = own.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")).distinct()
-    found, mode = None, 0
-    while True:
+    def unsettled(tiles, label):
         live = tiles.join(label, "doc_id")
-        mixed = live.groupBy("tile").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("tile")
-        live = live.join(mixed, "tile", "left_semi")
-        if mode == 1:
-            live = scratch.keep(live, "live")
-            maps = scratch.keep(_wide(texts.join(live.select("doc_id").distinct(), "doc_id", "left_semi"), size), "wide")
-        offered = scratch.keep(_candidates(live.join(maps, "doc_id"), percent, mode), "offered")
-        one = offered.where("not complete").groupBy("b").agg(F.min_by("a", F.col("a") if mode == 0 else F.xxhash64("a", F.lit(mode))).alias("a")).select("a", "b")
+        return live.join(live.groupBy("tile").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("tile"), "tile", "left_semi")
+
+    tiles = scratch.keep(_screen(unsettled(tiles, label).join(maps, "doc_id"), percent), "screened")
+    need = scratch.keep(tiles.select("doc_id").distinct(), "need")
+    texts = scratch.keep(docs.join(F.broadcast(need) if need.count() <= BROADCAST_IDS else need, "doc_id", "left_semi"), "texts")
+    maps = scratch.keep(_wide(texts, size), "wide")
+    found, mode = None, 1
+    while True:
+        offered = scratch.keep(_candidates(unsettled(tiles, label).join(maps, "doc_id"), percent, mode), "offered")
+        one = offered.where("not complete").groupBy("b").agg(F.min_by("a", F.col("a") if mode == 1 else F.xxhash64("a", F.lit(mode))).alias("a")).select("a", "b")
         pairs = scratch.keep(offered.where("complete").select("a", "b").union(one).distinct(), "pairs")
         if pairs.isEmpty():
             break
-        rest = offered.where("not complete").select("tile").distinct()
-        if not mode:
-            # Later rounds look at the unsettled tiles only, so these texts last for all rounds.
-            later = tiles.join(rest, "tile", "left_semi").select("doc_id")
-            need = scratch.keep(pairs.select(F.explode(F.array("a", "b")).alias("doc_id")).union(later).distinct(), "need")
-            few = need.count() <= BROADCAST_IDS
-            texts = scratch.keep(docs.join(F.broadcast(need) if few else need, "doc_id", "left_semi"), "texts")
         linked = scratch.keep(_linked(pairs, texts, size, percent), "linked")
         found = linked if found is None else found.unionByName(linked)
+        rest = offered.where("not complete").select("tile").distinct()
         if rest.isEmpty():
             break
         ends = linked.join(label.select(F.col("doc_id").alias("a"), F.col("label").alias("la")), "a").join(label.select(F.col("doc_id").alias("b"), F.col("label").alias("lb")), "b")

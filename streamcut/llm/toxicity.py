@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 from . import frames
 
 LENGTHS = (5, 7)
-FIT_ROWS, FEATURES, SMOOTHING, PENALTY = 20_000, 4096, 1.0, 1.0
+FIT_ROWS, FEATURES, SMOOTHING, PENALTY = 20_000, 2048, 1.0, 1.0
 THRESHOLD = 0.7
 _U = np.uint64
 _MAP = np.arange(256, dtype=np.uint8)
