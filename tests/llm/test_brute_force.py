@@ -216,9 +216,10 @@ def test_language_id(spark, docs, empty):
 
 
 def test_toxicity(spark, docs, empty):
-    known, labels = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
+    known, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
     got = toxicity(known, labels).join(labels, "doc_id").where("held_out").collect()
-    assert sum(r.predicted == r.toxic for r in got) >= 0.97 * len(got)
+    assert sum(r.predicted for r in got if not r.toxic) <= 0.01 * len(got)
+    assert sum(r.predicted for r in got if r.toxic) >= 0.7 * sum(r.toxic for r in got)
     assert all(0 <= r.score <= 1 for r in toxicity(docs, labels.limit(0)).collect())
     assert toxicity(empty, labels).collect() == []
 
