@@ -12,7 +12,7 @@ from ..operators.kernel import Placer
 
 @udtf(returnType="src long, dst long, seq long, part int")
 class PartitionEdges:
-    """partition_edges(TABLE(stream) PARTITION BY run ORDER BY seq, method, p): columns src, dst, seq of the table."""
+    """partition_edges(TABLE(stream) PARTITION BY (run) ORDER BY (seq), method, p): columns src, dst, seq of the table."""
 
     def __init__(self):
         self.placer = None

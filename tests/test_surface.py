@@ -56,7 +56,7 @@ def test_sql_access(spark):
     assert spark.sql("SELECT occupancy(2, 4L) AS x").first().x == 1 - 0.5**4
     stream = ordering.stream(zipf.zipf_graph(spark, 100, 2.0, 2.0, 30)).withColumn("run", F.lit(1))
     stream.select("run", "src", "dst", "seq").createOrReplaceTempView("stream_t")
-    got = spark.sql("SELECT * FROM partition_edges(TABLE(stream_t) PARTITION BY run ORDER BY seq, 'greedy_indegree', 4)").collect()
+    got = spark.sql("SELECT * FROM partition_edges(TABLE(stream_t) PARTITION BY (run) ORDER BY (seq), 'greedy_indegree', 4)").collect()
     want = greedy.greedy_indegree(stream, 4).collect()
     assert {(r.src, r.dst, r.part) for r in got} == {(r.src, r.dst, r.part) for r in want}
 
