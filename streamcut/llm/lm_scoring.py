@@ -4,18 +4,22 @@ The model is a bigram model with a frequency-banded Dirichlet prior:
 
     p(w | u) = (c(u w) + m(u) p(w)) / (c(u) + m(u)),   p(w) = (c(w) - D [c(w) > 0]) / N + D V / (N (V + 1))
 
-where m(u) = STRENGTH * 2**band(u) and band(u) is the binary logarithm of u's count in a sketch of 2**20 slots, whatever
-the corpus.  Any m(u) gives probabilities that sum to 1 over the known words and one unseen word.
+where m(u) = STRENGTH * 2**band(u) and band(u) is the binary logarithm of u's own count + 1 (0 for words seen at most once).
+Any m(u) gives probabilities that sum to 1 over the known words and one unseen word.
 
 The corpus is never gathered in one place.  The numerator needs what is known of the word w and its contexts, the
 denominator only what is known of u, so a log probability is a sum over words:
 
-1. one pass counts the training words (summed per task before the shuffle) and gives N, V and the sketch;
+1. one pass counts the training words (summed per task before the shuffle) and gives N, V and the counts table;
 2. a second one deals all token occurrences, in packed blocks of a few thousand documents, to shards by word.  A shard
    counts its training occurrences, builds its part of the trie (Elias-Fano levels in mapped files), answers all its
    occurrences by successor search, and returns one partial sum per document of a block;
 3. the partial sums are added up per block.
 
+What a shard must know of a context is its band.  Blocks write it beside the context, for the TOLD most frequent words, of
+which every task is told.  The bands of the other repeated words go from the counts table straight to the shards whose
+pairs have them as a context, by a join.  Both give the word's own band, so scores don't depend on which way it came.
+
 Words that make up a thousandth of all tokens (there are under a thousand) are dealt by word and context, so that no
 shard grows with them; their counts are sent along.  Contexts are 40-bit codes: 5 bits of band and 35 of hash, so a
 context that was never seen before a word passes for a seen one with a chance of about (contexts of the word) / 2**35.
@@ -38,7 +42,10 @@ from .toxicity import held_out
 from .wordhash import mix, words_of
 
 STRENGTH, DISCOUNT = 8.0, 0.75
-SLOTS = 1 << 20
+#: Words, the most frequent ones, whose bands every task is told; the others' are sent where they are asked for.
+TOLD = 1 << 20
+#: Asked pairs that a task of the join packs at once.
+PACK = 2_000_000
 #: Tokens, and documents, of one packed block.
 BLOCK_TOKENS, BLOCK_DOCS = 1_200_000, 60_000
 _U = np.uint64
@@ -53,14 +60,41 @@ def _tokens(texts: list[bytes]):
 
 
 def _slot(ids: np.ndarray) -> np.ndarray:
-    return (mix(ids ^ _U(0xA5A5A5A5)) >> _U(44)).astype(np.int64)
+    """The key under which a word's count is kept: its own."""
+    return ids.view(np.int64)
+
+
+def _band(c: np.ndarray) -> np.ndarray:
+    return np.where(c > 1, np.minimum(31, np.log2(c + 1)), 0).astype(np.uint8)
+
+
+def _code(before: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """A context of a word, above the five bits of its band."""
+    return (mix(before * _U(3) ^ mix(ids)) >> _U(29)) << _U(5)
+
+
+def _shard(ids: np.ndarray, code: np.ndarray, known: Statistics, shards: int) -> np.ndarray:
+    shard = mix(ids ^ _U(0x51AB))
+    if len(known.hot):
+        at = np.minimum(np.searchsorted(known.hot, ids), len(known.hot) - 1)
+        shard = np.where(known.hot[at] == ids, mix(ids ^ code), shard)
+    return shard % _U(shards)
 
 
 class Statistics:
-    """What every task is told: totals, the band sketch, and the counts of the most frequent words."""
+    """What every task is told: totals, and of the most frequent words the bands (``told``) and counts (``hot``)."""
 
-    def __init__(self, total: int, distinct: int, docs: int, bands: np.ndarray, hot: np.ndarray, hot_counts: np.ndarray):
-        self.total, self.distinct, self.docs, self.bands, self.hot, self.hot_counts = total, distinct, docs, bands, hot, hot_counts
+    def __init__(self, total: int, distinct: int, docs: int, told: np.ndarray, told_bands: np.ndarray, hot: np.ndarray, hot_counts: np.ndarray):
+        self.total, self.distinct, self.docs, self.told, self.told_bands, self.hot, self.hot_counts = total, distinct, docs, told, told_bands, hot, hot_counts
+
+    def tell(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(which words are told, their bands, else 0)."""
+        if not len(self.told):
+            return np.zeros(len(ids), dtype=bool), np.zeros(len(ids), dtype=np.uint8)
+        key = _slot(ids)
+        at = np.minimum(np.searchsorted(self.told, key), len(self.told) - 1)
+        found = self.told[at] == key
+        return found, np.where(found, self.told_bands[at], np.uint8(0))
 
     def prior(self, band: np.ndarray) -> np.ndarray:
         return STRENGTH * np.exp2(band.astype(float))
@@ -71,8 +105,8 @@ class Statistics:
         return np.maximum(c - DISCOUNT, 0) / self.total + DISCOUNT * self.distinct / self.total / (self.distinct + 1)
 
 
-def statistics(docs: DataFrame, scratch: frames.Scratch) -> Statistics:
-    """Counts of the training rows of ``docs`` (text, held)."""
+def statistics(docs: DataFrame, scratch: frames.Scratch) -> tuple[Statistics, DataFrame | None]:
+    """Counts of the training rows of ``docs`` (text, held), and the bands (w, band) of repeated words that aren't told."""
 
     def count(batches):
         held = []
@@ -96,10 +130,6 @@ def statistics(docs: DataFrame, scratch: frames.Scratch) -> Statistics:
             for k in range(0, len(u), 200_000):
                 yield pa.RecordBatch.from_arrays([pa.array(u[k : k + 200_000].view(np.int64)), pa.array(n[k : k + 200_000])], names=["w", "c"])
 
-    def slots(batches):
-        for b in batches:
-            yield pa.RecordBatch.from_arrays([pa.array(_slot(b.column("w").to_numpy().view(_U))), b.column("c")], names=["slot", "c"])
-
     counts = docs.where("not held").select("text").mapInArrow(count, "w long, c long").groupBy("w").agg(F.sum("c").alias("c"))
     counts = scratch.keep(counts, "counts")
     whole = counts.agg(F.sum("c").alias("n"), F.count("*").alias("v")).first()
@@ -107,12 +137,58 @@ def statistics(docs: DataFrame, scratch: frames.Scratch) -> Statistics:
     end = int(END.astype(np.int64))
     n_docs = (counts.where(F.col("w") == F.lit(end)).agg(F.sum("c").alias("c")).first().c) or 0
     often = counts.where(F.col("c") * 1000 >= F.lit(max(total, 1))).orderBy("w").collect()
-    top = counts.where("c > 1").mapInArrow(slots, "slot long, c long").groupBy("slot").agg(F.max("c").alias("c")).toArrow()
-    bands = np.zeros(SLOTS, dtype=np.uint8)
-    bands[top.column("slot").to_numpy()] = np.minimum(31, np.log2(top.column("c").to_numpy() + 1)).astype(np.uint8)
+    banded = counts.where("c > 1").select("w", F.least(F.length(F.bin(F.col("c") + 1)) - 1, F.lit(31)).alias("band"))
+    words = {r.band: r.n for r in banded.groupBy("band").agg(F.count("*").alias("n")).collect()}
+    least = min((b for b in words if sum(n for x, n in words.items() if x >= b) <= TOLD), default=99)
+    told = banded.where(F.col("band") >= least).toArrow()
+    keys, bands = told.column("w").to_numpy(), told.column("band").to_numpy().astype(np.uint8)
+    by = np.argsort(keys)
+    rest = banded.where(F.col("band") < least) if min(words, default=99) < least else None
     hot = np.array([r.w for r in often], dtype=np.int64).view(_U)
     order = np.argsort(hot)
-    return Statistics(total, distinct, n_docs, bands, hot[order], np.array([r.c for r in often], dtype=np.int64)[order])
+    return Statistics(total, distinct, n_docs, keys[by], bands[by], hot[order], np.array([r.c for r in often], dtype=np.int64)[order]), rest
+
+
+def _sent(docs: DataFrame, rest: DataFrame, stats, shards: int) -> DataFrame:
+    """Bands for the shards: packed rows of pairs (word, code) whose context is a word of ``rest``."""
+
+    def ask(batches):
+        known = stats.value
+        for batch in batches:
+            for part in frames.pieces(batch):
+                ids, n = _tokens(frames.raw(part))
+                before = np.concatenate(([START], ids[:-1]))
+                before[np.cumsum(n)[:-1]] = START
+                open_ = ~known.tell(before)[0] & (before != START)
+                pairs = np.unique(np.stack([before[open_], ids[open_]], axis=1), axis=0)
+                yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(x).view(np.int64)) for x in pairs.T], names=["w", "after"])
+
+    def pack(batches):
+        known, held, load = stats.value, [], 0
+
+        def emit():
+            before, ids, band = (np.concatenate(x) for x in zip(*held))
+            code = _code(before, ids)
+            shard = _shard(ids, code, known, shards).astype(np.int64)
+            order = np.argsort(shard, kind="stable")
+            cuts = np.searchsorted(shard[order], np.arange(shards + 1))
+            rows = [(s, ids[at].tobytes(), code[at].tobytes(), band[at].tobytes()) for s, (a, b) in enumerate(zip(cuts, cuts[1:])) if b > a for at in (order[a:b],)]
+            col = list(zip(*rows))
+            none = pa.nulls(len(rows), pa.binary())
+            return pa.RecordBatch.from_arrays([pa.array(col[0], pa.int64()), pa.array([-1] * len(rows), pa.int64()), pa.array(col[1], pa.binary()), none, pa.array(col[2], pa.binary()), none, pa.array(col[3], pa.binary())], names=["shard", "chunk", "w", "n", "code", "doc", "held"])
+
+        for b in batches:
+            if b.num_rows:
+                held.append((b.column("w").to_numpy().view(_U), b.column("after").to_numpy().view(_U), b.column("band").to_numpy().astype(np.uint8)))
+                load += b.num_rows
+            if load >= PACK:
+                yield emit()
+                held, load = [], 0
+        if held:
+            yield emit()
+
+    asked = docs.select("text").mapInArrow(ask, "w long, after long")
+    return asked.join(rest, "w").mapInArrow(pack, "shard long, chunk long, w binary, n binary, code binary, doc binary, held binary")
 
 
 def _blocks(stats, shards: int):
@@ -128,13 +204,9 @@ def _blocks(stats, shards: int):
             doc = np.repeat(np.arange(len(n), dtype=np.uint16), n)
             before = np.concatenate(([START], ids[:-1]))
             before[np.cumsum(n)[:-1]] = START
-            band = known.bands[_slot(before)]
-            code = (mix(before * _U(3) ^ mix(ids)) >> _U(29)) << _U(5) | band.astype(_U)
-            shard = mix(ids ^ _U(0x51AB))
-            if len(known.hot):
-                at = np.minimum(np.searchsorted(known.hot, ids), len(known.hot) - 1)
-                shard = np.where(known.hot[at] == ids, mix(ids ^ code), shard)
-            shard = (shard % _U(shards)).astype(np.uint16)
+            code = _code(before, ids)
+            shard = _shard(ids, code, known, shards).astype(np.uint16)
+            code |= known.tell(before)[1].astype(_U)
             order = np.lexsort((code, ids, shard))
             shard, ids, code, doc = shard[order], ids[order], code[order], doc[order]
             cuts = np.searchsorted(shard, np.arange(shards + 1))
@@ -170,6 +242,21 @@ def _blocks(stats, shards: int):
     return deal
 
 
+def _bands(pair_w: np.ndarray, pair_code: np.ndarray, sent: list[dict]) -> np.ndarray:
+    """The band of each pair's context: as written by the blocks, else as sent, else 0."""
+    band = (pair_code & _U(31)).astype(np.uint8)
+    if sent:
+        w, code, got = (np.frombuffer(b"".join(r[c] for r in sent), t) for c, t in (("w", _U), ("code", _U), ("held", np.uint8)))
+        key = mix(w ^ mix(code))
+        order = np.argsort(key)
+        key, got = key[order], got[order]
+        want = np.flatnonzero(band == 0)
+        asked = mix(pair_w[want] ^ mix(pair_code[want]))
+        at = np.minimum(np.searchsorted(key, asked), len(key) - 1)
+        band[want] = np.where(key[at] == asked, got[at], np.uint8(0))
+    return band
+
+
 def _answer(stats):
     """One shard: count, build the trie, answer every occurrence, add up per document of each block."""
 
@@ -177,7 +264,8 @@ def _answer(stats):
         known = stats.value
         rows = table.to_pylist()
         del table
-        meta = [r for r in rows if r["doc"] is None]
+        sent = [r for r in rows if r["chunk"] < 0]
+        meta = [r for r in rows if r["doc"] is None and r["chunk"] >= 0]
         rows = [r for r in rows if r["doc"] is not None]
         if rows:
             n_w = [np.frombuffer(r["n"], np.uint32) for r in rows]
@@ -209,7 +297,7 @@ def _answer(stats):
             # The trie holds the training words and pairs only.
             in_w, in_p = count > 0, seen > 0
             p = known.unigram(count)
-            prior = known.prior(pair_code & _U(31))
+            prior = known.prior(_bands(pair_w, pair_code, sent))
             begins = np.searchsorted(word[in_p], np.append(np.flatnonzero(in_w), len(words)))
             trie = Trie(words[in_w], np.log10(p[in_w]), begins, pair_code[in_p], np.log10(seen[in_p] + prior[in_p] * p[word[in_p]]))
             unseen = float(np.log10(known.unigram(np.zeros(1))[0]))
@@ -218,7 +306,7 @@ def _answer(stats):
             hit, log_p = trie.after(got[word], pair_code)
             value = np.where(hit, log_p, np.log10(prior) + log_w[word])
             # As a context, each token but the end owes the denominator of what follows it.
-            mine = known.prior(known.bands[_slot(words)])
+            mine = known.prior(_band(count))
             owed = np.where(words == END, 0.0, np.log10(count + mine))
             value = value - owed[word]
             base = np.log10(count + 0.5)[word]
@@ -261,7 +349,7 @@ def _total(stats):
                     value[at] += np.frombuffer(r["r"], np.float32)
                     some[at] += np.frombuffer(r["s"], np.uint8 if len(r["s"]) == len(at) else np.uint32)
             base -= n * np.log10(known.total + 0.5 * (known.distinct + 1))
-            value -= np.log10(known.docs + known.prior(known.bands[_slot(np.array([START]))])[0])
+            value -= np.log10(known.docs + STRENGTH)
             yield pa.RecordBatch.from_arrays(
                 [pa.array(ids, mask=null), pa.array(held), pa.array(n), pa.array(some), pa.array(np.full(len(ids), known.total, dtype=np.int64)), pa.array(base), pa.array(value)],
                 names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
@@ -274,9 +362,12 @@ def score(docs: DataFrame, folds: int = 5) -> DataFrame:
     """Rows (doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score)."""
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), held_out("doc_id", folds).alias("held"))
-    stats = spark.sparkContext.broadcast(statistics(docs, frames.Scratch(spark, "lm")))
+    found, rest = statistics(docs, frames.Scratch(spark, "lm"))
+    stats = spark.sparkContext.broadcast(found)
     shards = 2 * int(spark.conf.get("spark.sql.shuffle.partitions"))
     dealt = docs.mapInArrow(_blocks(stats, shards), "shard long, chunk long, w binary, n binary, code binary, doc binary, held binary")
+    if rest is not None:
+        dealt = dealt.unionByName(_sent(docs, rest, stats, shards))
     part = dealt.repartition(shards, "shard").sortWithinPartitions("shard").mapInArrow(_answer(stats), "chunk long, kind int, p binary, q binary, r binary, s binary")
     done = part.repartition("chunk").sortWithinPartitions("chunk").mapInArrow(_total(stats), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
     return done
