@@ -102,10 +102,12 @@ def _index(docs: DataFrame, size: int, percent: int, frequent: np.ndarray) -> Da
             for part in frames.pieces(batch):
                 sets = _sets(frames.raw(part), size)
                 n, keys, maps, d = [], [], [], np.zeros((len(sets), 2), dtype=_U)
+                null = part.column("doc_id").is_null().to_pylist()
                 for k, s in enumerate(sets):
                     n.append(len(s))
                     d[k] = (np.bitwise_xor.reduce(mix(s ^ _U(0x5851F42D4C957F2D))), np.add.reduce(mix(s + _U(0x14057B7EF767814F)))) if len(s) else (0, 0)
-                    if not len(s) or (mark := d[k].tobytes()) in seen:
+                    # A row without an id joins no list, so it must not stand for its copies.
+                    if not len(s) or null[k] or (mark := d[k].tobytes()) in seen:
                         keys.append(None)
                         maps.append(None)
                         continue
