@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
@@ -17,10 +18,26 @@ PAIRS = (
 )
 
 
+#: Degrees with a step of their own; above, a step is a SPREAD-th of its first degree wide, and even inside.
+SINGLE, SPREAD = 4096, 64
+
+
+def _tail(dmax: int) -> list[int]:
+    """First degrees of the steps above SINGLE, with dmax + 1 at the end."""
+    out = [SINGLE + 1]
+    while out[-1] <= dmax:
+        out.append(min(dmax + 1, out[-1] + out[-1] // SPREAD))
+    return out
+
+
 def cdf(exponent: float, dmax: int) -> list[int]:
-    """Upper bounds, in 2**32, of the degrees 1..dmax; at most 4096 of them are kept apart (the tail is one step)."""
-    top = min(dmax, 4096)
-    w = [k**-exponent for k in range(1, top + 1)]
+    """Upper bounds, in 2**32, of the steps of the degrees 1..dmax."""
+    w = [k**-exponent for k in range(1, min(dmax, SINGLE) + 1)]
+    if dmax > SINGLE:
+        # The sum over a step as an integral between half degrees: its error is about a 10**-8th up here.
+        over = (lambda x: math.log(x)) if exponent == 1 else (lambda x: x ** (1 - exponent) / (1 - exponent))
+        cuts = _tail(dmax)
+        w += [over(b - 0.5) - over(a - 0.5) for a, b in zip(cuts, cuts[1:])]
     total, run, out = sum(w), 0.0, []
     for x in w:
         run += x
@@ -29,14 +46,19 @@ def cdf(exponent: float, dmax: int) -> list[int]:
     return out
 
 
+def steps(exponent: float, dmax: int) -> list[tuple[int, int, int, int]]:
+    """(first degree, degrees, lo, hi): a hash h of lo..hi-1 has the degree first + (h - lo) * degrees // (hi - lo)."""
+    cuts = [*range(1, min(dmax, SINGLE) + 1), *(_tail(dmax) if dmax > SINGLE else [dmax + 1])]
+    bounds = cdf(exponent, dmax)
+    return [(a, b - a, lo, hi) for a, b, lo, hi in zip(cuts, cuts[1:], [0, *bounds], bounds)]
+
+
 def _side(spark: SparkSession, n: int, exponent: float, dmax: int, seed: int) -> DataFrame:
-    bounds = F.array(*[F.lit(x).cast("long") for x in cdf(exponent, dmax)])
     v = spark.range(n).select(F.col("id").alias("v"), hash32("id", seed=seed).alias("h"))
-    table = spark.range(1).select(bounds.alias("b"))
-    steps = table.select(F.posexplode("b").alias("k", "hi")).withColumn("lo", F.coalesce(F.expr("lag(hi) over (order by k)"), F.lit(0)))
-    # A range join with a table of at most 4096 rows.
-    d = v.join(F.broadcast(steps), (F.col("h") >= F.col("lo")) & (F.col("h") < F.col("hi"))).select("v", (F.col("k") + 1).alias("d"))
-    return d.select("v", F.explode(F.sequence(F.lit(1), F.col("d"))).alias("j")).select("v", (hash32("v", "j", seed=seed + 1) % n).alias("w"))
+    table = spark.createDataFrame(steps(exponent, dmax), "a long, width long, lo long, hi long")
+    # A range join with a table of a few thousand rows.
+    d = v.join(F.broadcast(table), (F.col("h") >= F.col("lo")) & (F.col("h") < F.col("hi"))).select("v", F.expr("a + (h - lo) * width div (hi - lo)").alias("d"))
+    return d.select("v", F.explode(F.sequence(F.lit(1), F.col("d").cast("int"))).alias("j")).select("v", (hash32("v", "j", seed=seed + 1) % n).alias("w"))
 
 
 def zipf_graph(spark: SparkSession, n: int, alpha: float, beta: float, dmax: int | None = None, seed: int = 0) -> DataFrame:
@@ -53,10 +75,12 @@ def zipf_sql(n: int, alpha: float, beta: float, dmax: int | None = None, seed: i
     h = "CAST(('0x' || substr(md5({}), 1, 8)) AS BIGINT)"
 
     def side(exponent: float, s: int, cols: str) -> str:
-        values = ", ".join(f"({k}, {lo}, {hi})" for k, (lo, hi) in enumerate(zip([0, *cdf(exponent, top)], cdf(exponent, top)), 1))
+        wide = top > SINGLE
+        values = ", ".join(f"({a}, {width}, {lo}, {hi})" if wide else f"({a}, {lo}, {hi})" for a, width, lo, hi in steps(exponent, top))
+        degree, names = ("a + (h - lo) * width // (hi - lo) AS d", "a, width, lo, hi") if wide else ("d", "d, lo, hi")
         key, pair = h.format(f"'{s}:' || v"), h.format(f"'{s + 1}:' || v || ':' || j")
         return f"""SELECT {cols} FROM (SELECT v, {pair} % {n} AS w FROM (SELECT v, unnest(range(1, d + 1)) AS j FROM (
-          SELECT v, d FROM (SELECT v, {key} AS h FROM range({n}) t(v)) JOIN (VALUES {values}) s(d, lo, hi) ON h >= lo AND h < hi)))"""
+          SELECT v, {degree} FROM (SELECT v, {key} AS h FROM range({n}) t(v)) JOIN (VALUES {values}) s({names}) ON h >= lo AND h < hi)))"""
 
     return f"SELECT DISTINCT src, dst FROM ({side(alpha, seed, 'v AS src, w AS dst')} UNION ALL {side(beta, seed + 100, 'w AS src, v AS dst')})"
 
@@ -81,9 +105,10 @@ class _Reader(DataSourceReader):
 
         h = lambda *x: int(hashlib.md5(":".join(map(str, x)).encode()).hexdigest()[:8], 16)
         for exponent, seed, flip in ((self.alpha, self.seed, False), (self.beta, self.seed + 100, True)):
-            bounds = cdf(exponent, self.n - 1)
+            bounds, table = cdf(exponent, self.n - 1), steps(exponent, self.n - 1)
             for v in range(partition.lo, partition.hi):
-                for j in range(1, bisect.bisect_right(bounds, h(seed, v)) + 2):
+                a, width, lo, hi = table[bisect.bisect_right(bounds, x := h(seed, v))]
+                for j in range(1, a + (x - lo) * width // (hi - lo) + 1):
                     w = h(seed + 1, v, j) % self.n
                     yield (w, v) if flip else (v, w)
 
