@@ -21,8 +21,7 @@ METHODS = {
     "greedy_total_degree": (True, False, "proposed"),
     "hybrid_threshold": (False, True, "relative"),
 }
-#: Edges up to which engine 'auto' keeps the exact sequential semantics.
-EXACT_EDGES = 100_000_000
+ENGINES = ("exact", "sharded", "snapshot")
 
 
 def method_catalog(spark: SparkSession) -> DataFrame:
@@ -43,6 +42,9 @@ class Placement:
     order: str
     schedule: DataFrame | None = None
     params: dict = field(default_factory=dict)
+    #: 'stateless' for plain projections; shards: streams that don't see each other, 0 if there are none.
+    engine: str = "stateless"
+    shards: int = 0
 
     def replicas(self) -> DataFrame:
         return metrics.replica_sets(self.placed)
@@ -62,7 +64,7 @@ class Placement:
             out = out.crossJoin(late).crossJoin(peak)  # single rows
         else:
             out = out.withColumns({c: F.lit(0).cast("long") for c in ("postponed", "flushed", "peak_buffered")})
-        return out.select(F.lit(graph).alias("graph"), F.lit(self.order).alias("arrival_order"), F.lit(self.method).alias("method"), F.lit(self.p).alias("p"), *out.columns)
+        return out.select(F.lit(graph).alias("graph"), F.lit(self.order).alias("arrival_order"), F.lit(self.method).alias("method"), F.lit(self.p).alias("p"), F.lit(self.engine).alias("engine"), F.lit(self.shards).alias("shards"), *out.columns)
 
 
 def make_schedule(stream: DataFrame, method: str, p: int, **opts) -> DataFrame:
@@ -73,28 +75,28 @@ def make_schedule(stream: DataFrame, method: str, p: int, **opts) -> DataFrame:
     return schedule.total_degree_schedule(stream, p, opts.get("hub_threshold"), opts.get("guard_scope", "direct"), opts.get("release", "first"), opts.get("flush", "end"))
 
 
-def partition(edges: DataFrame, method: str, p: int, order: str = "random", engine: str = "auto", seed: int = 0, **opts) -> Placement:
-    """Places ``edges`` (src, dst).  engine: 'auto', 'exact', 'sharded' (opts: shards) or 'snapshot' (opts: batch)."""
+def partition(edges: DataFrame, method: str, p: int, order: str = "random", engine: str = "exact", seed: int = 0, **opts) -> Placement:
+    """Places ``edges`` (src, dst).  engine: 'exact', 'sharded' (opts: shards) or 'snapshot' (opts: batch), whatever the size."""
     if method not in METHODS:
         raise ValueError(f"unknown method {method}; known: {sorted(METHODS)}")
+    if engine not in ENGINES:
+        raise ValueError(f"unknown engine {engine}; known: {ENGINES}")
     if not METHODS[method][0]:
         call = edgecut.hybrid_threshold if method == "hybrid_threshold" else getattr(stateless, method)
         return Placement(call(edges, p, seed=seed, **opts), p, method, order, None, opts)
     stream = keep(ordering.stream(edges, order, seed, **{k: opts.pop(k) for k in ("start", "follow", "key") if k in opts}), "stream")
-    if engine == "auto":
-        engine = "exact" if stream.count() <= EXACT_EDGES else "sharded"
     if engine == "snapshot":
         out = snapshot.run_batches(stream, p, opts.get("batch", 100_000), seed=seed, degree_aware=method != "greedy_affinity")
-        return Placement(out, p, method, order, None, opts)
+        return Placement(out, p, method, order, None, opts, engine)
     s = keep(make_schedule(stream, method, p, **opts), "schedule")
-    guard, tie = opts.get("guard", 1.1), opts.get("tie", "lowest")
+    guard, tie, shards = opts.get("guard", 1.1), opts.get("tie", "lowest"), 0
     if engine == "sharded":
         shards = opts.get("shards") or int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
         placed = greedy.sharded(s, p, shards, guard, tie, seed)
     else:
         placed = greedy.exact(s, p, guard, tie, seed)
     # One evaluation: the sequential pass would run again for each measure.
-    return Placement(keep(placed, "placed"), p, method, order, s, opts)
+    return Placement(keep(placed, "placed"), p, method, order, s, opts, engine, shards)
 
 
 def compare(graphs: dict[str, DataFrame], orders: tuple[str, ...] = ("random", "bfs", "dfs"), methods: tuple[str, ...] = ("edge_hash", "grid_hash", "greedy_affinity", "greedy_indegree", "greedy_total_degree"), ps: tuple[int, ...] = (48,), seed: int = 0, **opts) -> DataFrame:

@@ -177,14 +177,22 @@ for _g in ("nation_trade", "nation_flow", "host_link"):
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Measures of the total-degree method on the conversation word graph."""
-    return api.partition(graphs.edges(spark, sf_dir, "word_next_conv"), "greedy_total_degree", 8).metrics("word_next_conv")
+    return api.partition(graphs.edges(spark, sf_dir, "word_next_conv"), "greedy_total_degree", 8, engine="exact").metrics("word_next_conv")
 
 
 _add("flagship", flagship)
 for _m in ("greedy_affinity", "greedy_indegree", "greedy_total_degree"):
-    _add(f"metrics_{_m}_word_next_conv", _on("word_next_conv", lambda e, m=_m: api.partition(e, m, 16).metrics("word_next_conv")))
-_add("greedy_sharded_word_next_conv", _on("word_next_conv", lambda e: metrics.summary(api.partition(e, "greedy_indegree", 8, engine="sharded", shards=4).placed, 8)))
-_add("greedy_snapshot_word_next_conv", _on("word_next_conv", lambda e: metrics.summary(api.partition(e, "greedy_indegree", 8, engine="snapshot", batch=20000).placed, 8)))
+    _add(f"metrics_{_m}_word_next_conv", _on("word_next_conv", lambda e, m=_m: api.partition(e, m, 16, engine="exact").metrics("word_next_conv")))
+
+
+def _with_gap(edges: DataFrame, **opts) -> DataFrame:
+    """Measures of an engine that isn't exact, with what it loses against the exact one."""
+    other, exact = api.partition(edges, "greedy_indegree", 8, **opts), api.partition(edges, "greedy_indegree", 8, engine="exact")
+    return other.metrics("word_next_conv").crossJoin(metrics.engine_gap(exact.placed, other.placed).withColumnRenamed("gap", "engine_gap"))  # two single rows
+
+
+_add("greedy_sharded_word_next_conv", _on("word_next_conv", lambda e: _with_gap(e, engine="sharded", shards=4)))
+_add("greedy_snapshot_word_next_conv", _on("word_next_conv", lambda e: _with_gap(e, engine="snapshot", batch=20000)))
 
 # --- measures over hash placements -------------------------------------------------------------------------------------
 _PLACED = f"pl AS (SELECT src, dst, CAST({h32('src', 'dst')} % 16 AS INTEGER) AS part FROM e), rep AS (SELECT DISTINCT v, part FROM (SELECT src AS v, part FROM pl UNION ALL SELECT dst, part FROM pl))"
