@@ -220,5 +220,7 @@ def remove_contaminated(docs: DataFrame, benchmark: DataFrame, size: int = WINDO
     blocks = _asked(benchmark, size)
     if len(blocks) == 1:
         return _scan(docs, blocks[0], None, True)
-    bad = decontamination_report(docs, benchmark, size).where("contaminated").select("doc_id").distinct()
-    return docs.join(bad, "doc_id", "left_anti")
+    # By row, not by id: ids may be null or repeat.
+    keyed = frames.Scratch(docs.sparkSession, "decontaminate").keep(docs.withColumn("_row", F.monotonically_increasing_id()), "rows")
+    bad = decontamination_report(keyed.select(F.col("_row").alias("doc_id"), "text"), benchmark, size).where("contaminated").select(F.col("doc_id").alias("_row"))
+    return keyed.join(bad, "_row", "left_anti").select(docs.columns)
