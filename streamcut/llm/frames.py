@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -19,27 +20,33 @@ SLICE_BYTES = 3 << 20
 class Scratch:
     """Tables written once under ``spark.checkpoint.dir``: they cut lineage and outlive any executor.
 
-    Only if the session names no such folder (local tests) a temporary one is made and set.
+    If the session names no such folder, one is made and set where driver and tasks are one machine (``local``), as in
+    tests; on a cluster that is an error, since a machine's own folder would lose the tables.
     """
 
     def __init__(self, spark: SparkSession, tag: str):
         root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
         if not root:
+            if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+                raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
             root = tempfile.mkdtemp(prefix="streamcut-")
             spark.sparkContext.setCheckpointDir(root)
         self.spark, self.root, self.n = spark, f"{root.rstrip('/')}/{tag}-{uuid.uuid4().hex[:12]}", 0
 
-    def keep(self, df: DataFrame, name: str = "t") -> DataFrame:
+    def keep(self, df: DataFrame, name: str = "t", codec: str = "snappy") -> DataFrame:
         self.n += 1
         path = f"{self.root}/{self.n:03d}-{name}"
-        df.write.parquet(path)
+        df.write.option("compression", codec).parquet(path)
         out = self.spark.read.schema(df.schema).parquet(path)
         out._scratch_path = path
         return out
 
-    def drop(self, df: DataFrame) -> None:
-        path = self.spark._jvm.org.apache.hadoop.fs.Path(df._scratch_path)
-        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+    def drop(self, *frames: DataFrame | None) -> None:
+        """Removes tables that no later plan reads."""
+        for df in frames:
+            if df is not None:
+                path = self.spark._jvm.org.apache.hadoop.fs.Path(df._scratch_path)
+                path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def pieces(batch: pa.RecordBatch, column: str = "text", limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
@@ -57,8 +64,12 @@ def raw(batch: pa.RecordBatch, column: str = "text") -> list[bytes]:
     return [x or b"" for x in batch.column(column).cast(pa.binary()).to_pylist()]
 
 
-def map_arrow(df: DataFrame, kernel: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
-    return df.mapInArrow(kernel, schema)
+def free(df: DataFrame, name: str) -> str:
+    """``name``, or the first longer one that no column of ``df`` has (names are compared without case)."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
 
 
 def groups(batches: Iterator[pa.RecordBatch], key: str) -> Iterator[pa.Table]:

@@ -48,8 +48,8 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
-    report = decontamination_report(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "benchmark"))
-    return report.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
+    report = decontamination_report(_read(spark, sf_dir, "documents"), _read(spark, sf_dir, "benchmark"), slop=2)
+    return report.select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", "n_near_items")
 
 
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,6 +1,8 @@
 """Every operator against plain Python on small tables, with nulls, empty and long texts, ties, repeats and no rows."""
 
 import hashlib
+import itertools
+import random
 import re
 import zlib
 from collections import Counter, defaultdict
@@ -10,7 +12,7 @@ from pyspark.sql import functions as F
 
 from streamcut.llm import line_dedup, pii_spans, shard_table
 from streamcut.llm.best_fit_packing import default_tokenizer, pack, plan
-from streamcut.llm.decontaminate import decontamination_report, item_words, proximity_matches, remove_contaminated
+from streamcut.llm.decontaminate import build_index, decontamination_report, item_words, proximity_matches, remove_contaminated, search
 from streamcut.llm.jaccard_join import jaccard_classes
 from streamcut.llm.language_id import language_id
 from streamcut.llm.quality_rules import cascade_order, quality_filter, quality_report
@@ -154,8 +156,17 @@ def test_decontamination(spark, docs, rows, empty, monkeypatch):
     assert pick(decontamination_report(docs, benchmark)) == want
     left = Counter(str(r.doc_id) for r in remove_contaminated(docs, benchmark).collect())
     assert left == Counter(w[0] for w in want if not w[5])
-    monkeypatch.setattr("streamcut.llm.decontaminate.MAX_WINDOWS", 400)
-    assert pick(decontamination_report(docs, benchmark)) == want
+    # The stored index: every word of every document is at its place in its segment.
+    index = build_index(docs, segment_bytes=20_000).cache()
+    terms, segments = index.where("term is not null").collect(), index.where("term is null").collect()
+    assert len(segments) > 4 and sum(len(r.doc_id) for r in segments) == len(rows)
+    place = {(r.segment, at) for r in terms for at in itertools.accumulate(r.gaps)}
+    assert place == {(r.segment, k) for r in segments for k in range(sum(r.n_words))} and len(place) == sum(w[1] for w in want)
+    assert all(len(r.gaps) == r.n for r in terms) and len({(r.segment, r.term) for r in terms}) == len(terms)
+    assert pick(search(index, benchmark)) == want
+    for limit in (10**6, 0):
+        monkeypatch.setattr("streamcut.llm.decontaminate.BROADCAST_ROWS", limit)
+        assert Counter(str(r.doc_id) for r in remove_contaminated(docs.withColumn("mark", F.lit(1)).withColumn("salt", F.lit(1)), benchmark).collect()) == left
     assert decontamination_report(empty, benchmark).collect() == []
     assert pick(decontamination_report(docs, benchmark.limit(0))) == _decontaminated(rows, [])
 
@@ -165,6 +176,27 @@ def test_proximity(spark):
     items = spark.createDataFrame([(7, "a b c d")], "item_id long, text string")
     assert {r.doc_id for r in proximity_matches(docs, items, 2).where("n_items > 0").collect()} == {1, 2}
     assert {r.doc_id for r in proximity_matches(docs, items, 3).where("n_items > 0").collect()} == {1, 2, 3}
+    got = {r.doc_id: (r.n_hit, r.n_near_items) for r in decontamination_report(docs, items, slop=2).collect()}
+    assert got == {1: (4, 1), 2: (0, 1), 3: (0, 0), 4: (0, 0)}
+
+
+def test_proximity_against_all_stretches(spark):
+    rng = random.Random(5)
+    texts = [" ".join(rng.choice("abcdefg") for _ in range(rng.randrange(0, 60))) for _ in range(60)]
+    items = [" ".join(rng.choice("abcdefg") for _ in range(rng.randrange(1, 5))) for _ in range(25)]
+
+    def near(text, item, slop):
+        w, q = text.split(), item.split()
+        reach = {k: k for k, x in enumerate(w) if q and x == q[0]}  # place of the last term -> latest first place
+        for term in q[1:]:
+            reach = {k: max(f for j, f in reach.items() if j < k) for k, x in enumerate(w) if x == term and any(j < k for j in reach)}
+        return any(k - f < len(q) + slop for k, f in reach.items())
+
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    bench = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
+    for slop in (0, 1, 4):
+        want = {d: sum(near(t, i, slop) for i in items) for d, t in enumerate(texts)}
+        assert {r.doc_id: r.n_near_items for r in decontamination_report(docs, bench, slop=slop).collect()} == want
 
 
 def test_packing(docs, rows, empty):
