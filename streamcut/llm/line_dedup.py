@@ -1,16 +1,20 @@
 """Line dedup by site-relative frequency, in DataFrame functions only.
 
 Documents are grouped by host (the ``source`` column).  For each line the share of its host's documents that contain it
-is computed; a line is boilerplate if that share is at least ``ratio`` and at least ``least`` documents of the host hold
-it, and every copy of it on that host goes.  Other lines stay in order.
+is computed; a line is boilerplate if that share is at least ``ratio``, and every copy of it on that host goes.  Other
+lines stay in order.  A line that only one document of its host holds repeats nowhere, so it stays whatever the share
+(``least`` = 2): a host with a single page would lose all its text otherwise.
 
-Counting is spread: a document's distinct lines are hashed and partially counted before the shuffle, so that neither a
-host with a third of all rows nor a line that is everywhere meets in one task.  A host has at most (mean lines a
-document) / ratio boilerplate lines.  Their table is broadcast if it is small (its size is looked up first); else the
-documents' lines are joined with it by host and line.
+Counting is spread: a document's distinct lines are partially counted before the shuffle by host and line, so that neither
+a host with a third of all rows nor a line that is everywhere meets in one task.  Only lines that repeat are joined with
+their hosts' totals.  A host has at most (mean lines a document) / ratio boilerplate lines.  Their table is broadcast if
+its bytes (looked up first) are few; else the documents' lines are joined with it by host and line.  Both ways give the
+same rows.
 
 Odd input: a null text stays null; a null source is a host of its own; lines of white space only never count as
-boilerplate; a text that loses all lines becomes empty; rows that repeat count each; other columns pass unchanged.
+boilerplate; a text that loses all lines becomes empty; rows that repeat count each; a null or repeated id changes
+nothing; an empty table gives no rows; other columns pass unchanged, whatever their names, but for ``n_lines`` and
+``n_dropped``, which the result has with ``counts`` (the default) and which replace columns of these names.
 """
 
 from __future__ import annotations
@@ -20,44 +24,42 @@ from pyspark.sql import functions as F
 
 from . import frames
 
-RATIO, LEAST = 0.10, 10
-#: Boilerplate lines (rows) up to which their table is broadcast.
-BROADCAST_ROWS = 100_000
+RATIO, LEAST = 0.10, 2
+#: Bytes of boilerplate lines up to which their table is broadcast.
+BROADCAST_BYTES = 16 << 20
 
 
 def boilerplate(docs: DataFrame, ratio: float = RATIO, least: int = LEAST) -> DataFrame:
     """Rows (host, line, n_docs, n_host) of the lines that are dropped."""
-    docs = docs.select(F.coalesce("source", F.lit("\u0000")).alias("host"), "text")
+    docs = docs.select(F.coalesce(F.col("source").cast("string"), F.lit("\u0000")).alias("host"), F.col("text").cast("string").alias("text"))
     hosts = docs.groupBy("host").agg(F.count("*").alias("n_host"))
     lines = docs.where("text is not null").select("host", F.explode(F.array_distinct(F.split("text", "\n", -1))).alias("line"))
-    # Counted by hash first; the hash's own lines are then counted exactly, so that a collision changes nothing.
     lines = lines.where(F.col("line").rlike("[^\\x20\\x09-\\x0D]"))
-    counted = lines.groupBy("host", F.xxhash64("line").alias("h")).agg(F.count("*").alias("n"), F.min("line").alias("line"), F.max("line").alias("other"))
-    counted = counted.join(F.broadcast(hosts), "host").where((F.col("n") >= least) & (F.col("n") >= ratio * F.col("n_host")))
-    return counted.where("line = other").select("host", "line", F.col("n").alias("n_docs"), "n_host")
+    counted = lines.groupBy("host", "line").agg(F.count("*").alias("n_docs")).where(F.col("n_docs") >= least)
+    return counted.join(hosts, "host").where(F.col("n_docs") >= ratio * F.col("n_host")).select("host", "line", "n_docs", "n_host")
 
 
-def drop_boilerplate(docs: DataFrame, ratio: float = RATIO, least: int = LEAST) -> DataFrame:
-    """``docs`` with new ``text`` and the columns ``n_lines`` and ``n_dropped``."""
-    spark = docs.sparkSession
-    bad = frames.Scratch(spark, "lines")
-    table = bad.keep(boilerplate(docs, ratio, least).select("host", "line"), "boilerplate")
-    lines = F.split("text", "\n", -1)
-    host = F.coalesce("source", F.lit("\u0000"))
-    if table.count() <= BROADCAST_ROWS:
-        sets = table.groupBy("host").agg(F.collect_list("line").alias("_bad")).withColumnRenamed("host", "_host")
-        joined = docs.join(F.broadcast(sets), host == F.col("_host"), "left").drop("_host")
-        kept = F.when(F.arrays_overlap(lines, "_bad"), F.filter(lines, lambda x: ~F.array_contains("_bad", x))).otherwise(lines)
-        out = joined.withColumn("_kept", kept)
+def drop_boilerplate(docs: DataFrame, ratio: float = RATIO, least: int = LEAST, counts: bool = True) -> DataFrame:
+    """``docs`` with new ``text`` and, with ``counts``, the columns ``n_lines`` and ``n_dropped``."""
+    scratch = frames.Scratch(docs.sparkSession, "lines")
+    table = scratch.keep(boilerplate(docs, ratio, least).select("host", "line"), "boilerplate")
+    # The rows travel as one value, so that no name of theirs can meet one of ours.
+    rest = [c for c in docs.columns if c != "text"]
+    rows = docs.select(F.struct(*rest).alias("row"), F.coalesce(F.col("source").cast("string"), F.lit("\u0000")).alias("host"), F.col("text").cast("string").alias("text"))
+    rows = rows.withColumn("lines", F.split("text", "\n", -1))
+    if (table.agg(F.sum(F.length("line") + F.length("host") + 16)).first()[0] or 0) <= BROADCAST_BYTES:
+        sets = table.groupBy("host").agg(F.collect_list("line").alias("bad"))
+        out = rows.join(F.broadcast(sets), "host", "left")
     else:
-        keyed = bad.keep(docs.withColumn("_row", F.monotonically_increasing_id()), "rows")
-        each = keyed.select("_row", host.alias("host"), F.explode(F.array_distinct(lines)).alias("line")).join(table, ["host", "line"], "left_semi")
-        sets = each.groupBy("_row").agg(F.collect_list("line").alias("_bad"))
-        out = keyed.join(sets, "_row", "left").drop("_row")
-        out = out.withColumn("_kept", F.when(F.col("_bad").isNull(), lines).otherwise(F.filter(lines, lambda x: ~F.array_contains("_bad", x))))
-    out = out.withColumn("n_lines", F.when(F.col("text").isNotNull(), F.size(lines)).otherwise(0).cast("long"))
-    out = out.withColumn("n_dropped", (F.col("n_lines") - F.when(F.col("text").isNotNull(), F.size("_kept")).otherwise(0)).cast("long"))
-    return out.withColumn("text", F.when(F.col("n_dropped") > 0, F.array_join("_kept", "\n")).otherwise(F.col("text"))).drop("_kept", "_bad")
+        keyed = scratch.keep(rows.withColumn("nth", F.monotonically_increasing_id()), "rows")
+        each = keyed.select("nth", "host", F.explode(F.array_distinct("lines")).alias("line")).join(table, ["host", "line"], "left_semi")
+        out = keyed.join(each.groupBy("nth").agg(F.collect_list("line").alias("bad")), "nth", "left")
+    out = out.withColumn("kept", F.when(F.col("bad").isNotNull() & F.arrays_overlap("lines", "bad"), F.filter("lines", lambda x: ~F.array_contains("bad", x))).otherwise(F.col("lines")))
+    size = lambda c: F.when(F.col("text").isNotNull(), F.size(c)).otherwise(0).cast("long")
+    text = F.when(F.size("kept") < F.size("lines"), F.array_join("kept", "\n")).otherwise(F.col("text"))
+    made = {"text": text, **({"n_lines": size("lines"), "n_dropped": size("lines") - size("kept")} if counts else {})}
+    own = [made.pop(c).alias(c) if c in made else F.col("row").getField(c).alias(c) for c in docs.columns]
+    return out.select(*own, *[v.alias(c) for c, v in made.items()])
 
 
 ORACLE = f"""

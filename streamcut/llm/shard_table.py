@@ -5,8 +5,8 @@ take turns; at its turn a shard claims the next free slot of its permutation, un
 of slots differ by at most one turn.  If a shard leaves or joins, few keys move between the others.  A key's slot is its
 hash modulo the table's size.  The table has as many rows as it has slots, whatever the data, and is broadcast.
 
-Odd input: a null key is placed like the empty string; equal keys go to one shard; other columns pass unchanged; an empty
-table stays empty.
+Odd input: a null key is placed like the empty string; equal keys go to one shard; other columns pass unchanged, whatever
+their names, but for ``slot`` and ``shard``, which the result replaces (a key of such a name too); an empty table stays empty.
 """
 
 from __future__ import annotations
@@ -53,10 +53,11 @@ def table(spark: SparkSession, names: tuple[str, ...] = SHARDS, slots: int = SLO
 
 
 def assign(docs: DataFrame, key: str = "doc_id", names: tuple[str, ...] = SHARDS, slots: int = SLOTS, weights: dict[str, int] | None = None) -> DataFrame:
-    """``docs`` with the columns ``slot`` and ``shard`` (which replace columns of these names)."""
-    placed = docs.drop(*[c for c in ("slot", "shard") if c != key]).withColumn("_slot", slot_of(F.col(key), slots))
-    lookup = table(docs.sparkSession, names, slots, weights).withColumnRenamed("slot", "_slot")
-    return placed.join(F.broadcast(lookup), "_slot").withColumnRenamed("_slot", "slot")
+    """``docs`` with the columns ``slot`` and ``shard`` after them; other columns of these names lose their place."""
+    lookup = table(docs.sparkSession, names, slots, weights)
+    # The rows travel as one value, so that no name of theirs can meet one of ours.
+    rows = docs.select(F.struct("*").alias("row"), slot_of(F.col(key), slots).alias("slot")).join(F.broadcast(lookup), "slot")
+    return rows.select(*[F.col("row").getField(c).alias(c) for c in docs.columns if c not in ("slot", "shard")], "slot", "shard")
 
 
 ORACLE = f"""
