@@ -103,16 +103,35 @@ def components(scratch: Scratch, links: DataFrame) -> DataFrame:
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         up = both.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("root"))
         for _ in range(2):
-            upper = up.select(F.col("node").alias("root"), F.col("root").alias("top"))
-            up = up.join(upper, "root", "left").select("node", F.coalesce("top", "root").alias("root"))
+            up = _follow(up, up)
         up = scratch.keep(up, "up")
-        if roots is None:
-            roots = up
-        else:
-            step = up.select(F.col("node").alias("root"), F.col("root").alias("top"))
-            roots = scratch.keep(roots.join(step, "root", "left").select("node", F.coalesce("top", "root").alias("root")), "roots")
-        ends = edges.join(up.select(F.col("node").alias("a"), F.col("root").alias("ra")), "a").join(up.select(F.col("node").alias("b"), F.col("root").alias("rb")), "b")
-        edges = scratch.keep(ends.where("ra <> rb").select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b")).distinct(), "edges")
+        merged = up if roots is None else scratch.keep(_follow(roots, up), "roots")
+        ends = _root_of(_root_of(edges, up, "a", "ra"), up, "b", "rb")
+        rest = scratch.keep(ends.where("ra <> rb").select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b")).distinct(), "edges")
+        scratch.drop(edges, roots, None if merged is up else up)
+        edges, roots = rest, merged
     if roots is None:
         return edges.select(F.col("a").alias("node"), F.col("b").alias("root"))
     return roots
+
+
+#: Parts over which the rows of one key are dealt where a root or a hub may have a large share of all rows.
+SALTS = 4
+
+
+def salted_join(left: DataFrame, right: DataFrame, key: str) -> DataFrame:
+    """Left join by ``key``, which is unique in ``right``: a key's rows of ``left`` are dealt over the salts.
+
+    Larger shares than a salt's are split at run time, as Spark does for sorted joins of skewed keys.
+    """
+    salt = F.pmod(F.xxhash64(*left.columns), F.lit(SALTS)).cast("int")
+    return left.withColumn("_salt", salt).join(right.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))), [key, "_salt"], "left").drop("_salt")
+
+
+def _root_of(left: DataFrame, up: DataFrame, key: str, out: str) -> DataFrame:
+    return salted_join(left, up.select(F.col("node").alias(key), F.col("root").alias(out)), key)
+
+
+def _follow(roots: DataFrame, up: DataFrame) -> DataFrame:
+    """Rows (node, root) with each root replaced by its own root in ``up``, if it has one."""
+    return _root_of(roots, up, "root", "top").select("node", F.coalesce("top", "root").alias("root"))

@@ -235,13 +235,13 @@ def _reach(n: np.ndarray, maps: list[bytes], i: np.ndarray, j: np.ndarray, perce
     ok = np.zeros(len(i), dtype=bool)
     small, large = np.where(width[i] <= width[j], i, j), np.where(width[i] <= width[j], j, i)
     for w in whole:
-        for v in (w, 2 * w):  # sets of like size have equal widths, or one of them is double
+        for v in (v for v in whole if v >= w):  # the wider bitmap is folded to the narrower one's bits
             every = np.flatnonzero((width[small] == w) & (width[large] == v))
             for k in range(0, len(every), step := max(1, (8 << 20) // int(w))):
                 at = every[k : k + step]
                 x, y = whole[w][row[small[at]]], whole[v][row[large[at]]]
                 if v > w:
-                    y = y[:, : w // 8] ^ y[:, w // 8 :]
+                    y = np.bitwise_xor.reduce(y.reshape(len(y), v // w, w // 8), axis=1)
                 total = n[small[at]] + n[large[at]]
                 ok[at] = (100 + percent) * (total - np.bitwise_count(x ^ y).sum(axis=1, dtype=np.int64)) >= 2 * percent * total
     return ok
@@ -370,17 +370,21 @@ def jaccard_classes(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFr
     index = scratch.keep(_index(docs, size, percent, _frequent(docs, size)), "index")
     first = index.where("n > 0 and doc_id is not null").groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"))
     own = scratch.keep(index.select("doc_id", "n", "d1", "d2").join(first, ["d1", "d2"], "left").select("doc_id", "n", F.when(F.col("n") > 0, F.col("rep")).otherwise(F.col("doc_id")).alias("rep")), "own")
-    tiles = scratch.keep(_tiles(scratch.keep(_lists(index, percent), "lists"), percent), "tiles")
+    lists = scratch.keep(_lists(index, percent), "lists")
+    tiles = scratch.keep(_tiles(lists, percent), "tiles")
+    scratch.drop(lists)
     met = tiles.select("doc_id").distinct()
     maps = scratch.keep(index.where("bitmap is not null").select("doc_id", "n", "bitmap").join(met, "doc_id", "left_semi"), "maps")
     # Rows that share an id, and exact copies, are linked from the start.
     label = scratch.keep(own.join(met, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("rep").alias("label")), "label")
     links = own.where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")).distinct()
+
     def unsettled(tiles, label):
         live = tiles.join(label, "doc_id")
         return live.join(live.groupBy("tile").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("tile"), "tile", "left_semi")
 
-    tiles = scratch.keep(_screen(unsettled(tiles, label).join(maps, "doc_id"), percent), "screened")
+    wide, tiles = tiles, scratch.keep(_screen(unsettled(tiles, label).join(maps, "doc_id"), percent), "screened")
+    scratch.drop(wide, maps, index)
     need = scratch.keep(tiles.select("doc_id").distinct(), "need")
     texts = scratch.keep(docs.join(F.broadcast(need) if need.count() <= BROADCAST_IDS else need, "doc_id", "left_semi"), "texts")
     maps = scratch.keep(_wide(texts, size), "wide")
