@@ -14,8 +14,9 @@ has a few thousand rows.  A piece finds its place by its length and its rank amo
 need no global sort: a task numbers its own pieces by length, and the tasks' counts by length are added up.
 
 The ids are those of the ``tokenizers`` file.  Texts are cut at blanks between two characters that are not white space,
-where the tokenizer always begins a new token; a task keeps the ids of chunks it has seen and encodes new ones in bulk
-with ``tiktoken`` ranks made from the same vocabulary.  A text in which a blank touches other white space is encoded whole.
+where the tokenizer always begins a new token; a task keeps the ids of chunks it has seen, by 64-bit hash, and encodes
+new ones in bulk with ``tiktoken`` ranks made from the same vocabulary.  A text in which a blank touches other white space
+is encoded whole, and one with a special string of the file is cut there, as the tokenizer does.
 
 Odd input: a null text is empty and has the one id 0; rows that repeat or share an id are pieces of their own; a null
 id stays null; extra columns are ignored; an empty table gives an empty result.
@@ -35,6 +36,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import frames
+from .wordhash import hash_spans
 
 CAPACITY = 2048
 #: Chunks of text whose ids a task remembers.
@@ -56,72 +58,82 @@ def _byte_of_symbol() -> dict[str, int]:
 
 
 class Encoder:
-    """Token ids of many texts at once, as the tokenizer file gives them (its special strings are plain text)."""
+    """Token ids of many texts at once, as the tokenizer file gives them; its special strings are their own tokens."""
 
     def __init__(self, path: str):
         import public_tokenizers
         import tiktoken
 
         with open(path, encoding="utf-8") as f:
-            vocab = json.load(f)["model"]["vocab"]
+            file = json.load(f)
+        self.special = {t["content"]: t["id"] for t in file.get("added_tokens", ())}
+        self.cut = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         of = _byte_of_symbol()
-        ranks = {bytes(of[c] for c in t): i for t, i in vocab.items() if all(c in of for c in t) and t != "<|endoftext|>"}
+        ranks = {bytes(of[c] for c in t): i for t, i in file["model"]["vocab"].items() if all(c in of for c in t) and t not in self.special}
         self.bpe = tiktoken.Encoding("own", pat_str=public_tokenizers.PATTERN, mergeable_ranks=ranks, special_tokens={})
         self.line = self.bpe.encode_ordinary("\n")
         self.forget()
 
     def forget(self):
-        self.number: dict[str, int] = {}
-        self.ids, self.length = np.zeros(0, dtype=np.uint32), np.zeros(0, dtype=np.int64)
-
-    def _learn(self, chunks: list[str]):
-        """Ids of new chunks, encoded as lines of one text; chunks with a line break inside go one by one."""
-        plain = [c for c in chunks if "\n" not in c and "\r" not in c]
-        loose = [c for c in chunks if "\n" in c or "\r" in c]
-        parts, sizes = [], []
+        """An empty memory: hashes of chunks in order, and where the ids of each begin and how many they are."""
+        self.known, self.begin, self.length = np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64)
+        self.ids = np.zeros(0, dtype=np.uint32)
+
+    def _encode(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, numbers of ids): chunks without line breaks as lines of one text, the others one by one."""
+        ids: list[np.ndarray | None] = [None] * len(chunks)
+        plain = [k for k, c in enumerate(chunks) if "\n" not in c and "\r" not in c]
         if plain:
-            ids = self.bpe.encode_to_numpy("\n".join(plain) + "\n")
-            cuts = np.flatnonzero(ids == self.line[0])
-            if len(cuts) != len(plain):  # a chunk that joins the break: take them one by one
-                loose, plain = plain + loose, []
-            else:
-                sizes += (np.diff(cuts, prepend=-1) - 1).tolist()
-                parts.append(ids[ids != self.line[0]])
-        for c in loose:
-            ids = self.bpe.encode_to_numpy(c)
-            parts.append(ids)
-            sizes.append(len(ids))
-        for c in plain + loose:
-            self.number[c] = len(self.number)
-        self.ids = np.concatenate([self.ids, *parts]).astype(np.uint32)
-        self.length = np.concatenate([self.length, np.array(sizes, dtype=np.int64)])
+            every = self.bpe.encode_to_numpy("\n".join(chunks[k] for k in plain) + "\n")
+            cuts = np.flatnonzero(every == self.line[0])
+            if len(cuts) == len(plain):  # else a chunk joins the break
+                for k, a, b in zip(plain, [0, *(cuts[:-1] + 1).tolist()], cuts.tolist()):
+                    ids[k] = every[a:b]
+        ids = [self.bpe.encode_to_numpy(c) if x is None else x for c, x in zip(chunks, ids)]
+        return np.concatenate(ids).astype(np.uint32), np.array([len(x) for x in ids], dtype=np.int64)
+
+    def _learn(self, hashes: np.ndarray, chunks: list[str]):
+        ids, n = self._encode(chunks)
+        begin = len(self.ids) + np.cumsum(n) - n
+        self.ids = np.concatenate([self.ids, ids])
+        known = np.concatenate([self.known, hashes])
+        order = np.argsort(known, kind="stable")
+        self.known, self.begin, self.length = known[order], np.concatenate([self.begin, begin])[order], np.concatenate([self.length, n])[order]
+
+    def whole(self, text: str) -> np.ndarray:
+        if self.cut is None or not self.cut.search(text):
+            return self.bpe.encode_to_numpy(text).astype(np.uint32)
+        return np.concatenate([np.array([self.special[part]], dtype=np.uint32) if part in self.special else self.bpe.encode_to_numpy(part).astype(np.uint32) for part in self.cut.split(text) if part] or [np.zeros(0, np.uint32)])
 
     def __call__(self, texts: list[str]) -> list[np.ndarray]:
         out: list[np.ndarray | None] = [None] * len(texts)
-        rows, chunks, counts = [], [], []
+        rows, raw = [], []
         for k, text in enumerate(texts):
-            if _LOOSE.search(text):
-                out[k] = self.bpe.encode_to_numpy(text).astype(np.uint32)
-                continue
-            cut = text.split(" ")
-            rows.append(k)
-            counts.append(len(cut))
-            chunks.append(cut[0])
-            chunks += [" " + c for c in cut[1:]]
+            if _LOOSE.search(text) or any(s in text for s in self.special):
+                out[k] = self.whole(text)
+            else:
+                rows.append(k)
+                raw.append(text.encode())
         if not rows:
             return out
-        if len(self.number) > CACHED:
+        joined = np.frombuffer(b"".join(raw), dtype=np.uint8)
+        ends = np.cumsum([len(t) for t in raw])
+        first = np.union1d(np.flatnonzero(joined == 32), np.concatenate(([0], ends[:-1])))
+        last = np.append(first[1:], len(joined))
+        found, one, at = np.unique(hash_spans(joined, first, last), return_index=True, return_inverse=True)
+        if len(self.known) > CACHED:
             self.forget()
-        known = self.number
-        new = [c for c in dict.fromkeys(chunks) if c not in known]
-        if new:
-            self._learn(new)
-        at = np.fromiter(map(self.number.__getitem__, chunks), dtype=np.int64, count=len(chunks))
-        begin = np.cumsum(self.length) - self.length
-        n = self.length[at]
+        new = np.ones(len(found), dtype=bool)
+        if len(self.known):
+            new = self.known[np.minimum(np.searchsorted(self.known, found), len(self.known) - 1)] != found
+        if new.any():
+            flat = joined.tobytes()
+            self._learn(found[new], [flat[a:b].decode() for a, b in zip(first[one[new]].tolist(), last[one[new]].tolist())])
+        place = np.searchsorted(self.known, found)
+        begin, n = self.begin[place][at], self.length[place][at]
         total = np.cumsum(n)
-        ids = self.ids[np.repeat(begin[at] - (total - n), n) + np.arange(total[-1])]
-        ends = total[np.cumsum(counts) - 1]
+        ids = self.ids[np.repeat(begin - (total - n), n) + np.arange(total[-1])]
+        ends = total[np.searchsorted(first, ends) - 1]
         for k, a, b in zip(rows, [0, *ends[:-1].tolist()], ends.tolist()):
             out[k] = ids[a:b]
         return out

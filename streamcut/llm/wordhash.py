@@ -54,6 +54,28 @@ def _tables(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _GROWN[0]
 
 
+class Spans:
+    """64-bit ids of stretches [first, last) of a run of codes."""
+
+    def __init__(self, codes: np.ndarray):
+        up, self.down = _tables(len(codes) + 1)
+        self.total = np.zeros(len(codes) + 1, dtype=_U)
+        np.cumsum(codes * up[: len(codes)], out=self.total[1:])
+
+    def ids(self, first: np.ndarray, last: np.ndarray) -> np.ndarray:
+        return mix((self.total[last] - self.total[first]) * self.down[first] + (last - first).astype(_U) * _BASE)
+
+
+def hash_spans(joined: np.ndarray, first: np.ndarray, last: np.ndarray) -> np.ndarray:
+    """64-bit ids of byte stretches."""
+    return Spans(_CODES[joined]).ids(first, last)
+
+
+def point_codes(points: np.ndarray) -> np.ndarray:
+    """Random codes of code points."""
+    return mix((points.astype(_U) + _U(1)) * _BASE)
+
+
 def words_of(texts: list[bytes], kind: str = "space", lower: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Words of many texts: (ids, start byte, end byte, words per text, joined bytes).
 
@@ -65,10 +87,7 @@ def words_of(texts: list[bytes], kind: str = "space", lower: bool = True) -> tup
     edge = np.flatnonzero(np.diff(inside, prepend=False, append=False))
     first, last = edge[0::2], edge[1::2]
     low = _LOWER[joined] if lower else joined
-    up, down = _tables(len(joined) + 1)
-    total = np.zeros(len(joined) + 1, dtype=_U)
-    np.cumsum(_CODES[low] * up[: len(joined)], out=total[1:])
-    ids = mix((total[last] - total[first]) * down[first] + (last - first).astype(_U) * _BASE)
+    ids = hash_spans(low, first, last)
     ends = np.cumsum(np.fromiter((len(t) + 1 for t in texts), dtype=np.int64, count=len(texts)))
     upto = np.searchsorted(first, ends, side="left")
     return ids, first, last, np.diff(upto, prepend=0), low
