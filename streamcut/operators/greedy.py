@@ -8,6 +8,7 @@ against.  ``sharded`` runs one stream per shard; its loss in replication is what
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 from fractions import Fraction
 
 import numpy as np
@@ -16,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import schedule as S
-from .kernel import Placer
+from .kernel import Buffered, Placer
 
 _FIELDS = ["src", "dst", "arrival", "seq", "place_seq", "class", "part"]
 PLACED = "src long, dst long, arrival long, seq long, place_seq long, class string, part int"
@@ -30,10 +31,9 @@ def _ratio(guard: float | str | None) -> tuple[int, int] | None:
 
 
 def _place(placer: Placer, batch: pa.RecordBatch | pa.Table) -> pa.Array:
-    u, v, c, g, s = (batch.column(n).to_pylist() for n in ("src", "dst", "cmp", "guarded", "seq"))
-    skip = batch.column("dropped").to_pylist() if "dropped" in batch.schema.names else [False] * len(u)
-    put = placer.place
-    return pa.array([None if x else put(a, b, k, h, n) for a, b, k, h, n, x in zip(u, v, c, g, s, skip)], pa.int32())
+    columns = [batch.column(n).to_pylist() for n in ("src", "dst", "cmp", "guarded", "seq")]
+    skips = batch.column("dropped").to_pylist() if "dropped" in batch.schema.names else None
+    return pa.array(placer.run(*columns, skips), pa.int32())
 
 
 def exact(schedule: DataFrame, p: int, guard: float | None = 1.1, tie: str = "lowest", seed: int = 0, affinity_only: bool = False) -> DataFrame:
@@ -49,58 +49,139 @@ def exact(schedule: DataFrame, p: int, guard: float | None = 1.1, tie: str = "lo
     return rows.repartition(1).sortWithinPartitions("place_seq").mapInArrow(run, PLACED)
 
 
-def sharded(schedule: DataFrame, p: int, shards: int, guard: float | None = 1.1, tie: str = "lowest", seed: int = 0) -> DataFrame:
+def _streams(batches: Iterator[pa.RecordBatch], key: str, start) -> Iterator[tuple[pa.RecordBatch, Placer, pa.Array]]:
+    """(rows, placer, parts) of streams that follow each other, each with a placer made by ``start`` from its first rows."""
+    placer, current = None, None
+    for b in batches:
+        if not b.num_rows:
+            continue
+        which = b.column(key).dictionary_encode().indices.to_numpy()
+        cuts = [0, *(np.flatnonzero(np.diff(which)) + 1).tolist(), len(which)]
+        for lo, hi in zip(cuts, cuts[1:]):
+            part = b.slice(lo, hi - lo)
+            if (mark := part.column(key)[0].as_py()) != current:
+                placer, current = start(part), mark
+            yield part, placer, _place(placer, part)
+
+
+def sharded(schedule: DataFrame, p: int, shards: int, guard: float | None = 1.1, tie: str = "rotate", seed: int = 0) -> DataFrame:
     """One independent stream per shard of sources, each with its own replica sets and loads.
 
-    The sum of the shards' largest loads is at most guard * mean + shards, so balance holds globally as well.
+    The sum of the shards' largest loads is at most guard * mean + shards, so balance holds globally as well.  ``tie``:
+    'rotate' breaks ties by a hash that differs by shard, so that the shards don't all fill part 0 first; 'hash' by one
+    that is the same for all; 'lowest' by the lowest part.
     """
+    if tie not in ("rotate", "hash", "lowest"):
+        raise ValueError(f"unknown tie rule {tie}")
     ratio = _ratio(guard)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        placer, current = None, None
-        for b in batches:
-            shard = b.column("shard").to_numpy()
-            cuts = [0, *(np.flatnonzero(np.diff(shard)) + 1).tolist(), len(shard)]
-            for lo, hi in zip(cuts, cuts[1:]):
-                if hi == lo:
-                    continue
-                if shard[lo] != current:
-                    # Each shard breaks ties from another part on, or all shards would fill part 0 first.
-                    placer, current = Placer(p, ratio, "hash", seed + int(shard[lo])), shard[lo]
-                part = b.slice(lo, hi - lo)
-                yield pa.RecordBatch.from_arrays([*(part.column(n) for n in _FIELDS[:-1]), _place(placer, part)], names=_FIELDS)
+        def start(row: pa.RecordBatch) -> Placer:
+            return Placer(p, ratio, "lowest" if tie == "lowest" else "hash", seed + (row.column("shard")[0].as_py() if tie == "rotate" else 0))
+
+        for part, _, parts in _streams(batches, "shard", start):
+            yield pa.RecordBatch.from_arrays([*(part.column(n) for n in _FIELDS[:-1]), parts], names=_FIELDS)
 
     rows = schedule.withColumn("shard", F.pmod(F.xxhash64("src", F.lit(seed)), F.lit(shards)).cast("int"))
     return rows.repartition(shards, "shard").sortWithinPartitions("shard", "place_seq").mapInArrow(run, PLACED)
 
 
-def grid_of_runs(schedules: DataFrame) -> DataFrame:
-    """Many exact streams, one per run: rows of a schedule with run_id, p, guard ('' for none), tie and seed."""
+@dataclass(frozen=True)
+class Run:
+    """One stream of ``grid_of_runs``."""
+
+    p: int
+    guard: float | None = 1.1
+    tie: str = "lowest"
+    seed: int = 0
+
+
+MEASURES = "run int, n_vertices long, n_edges long, copies long, max_edges long"
+
+
+def grid_of_runs(schedules: DataFrame, runs: list[Run], order: tuple[str, ...] = ("place_seq",)) -> DataFrame:
+    """Measures of many exact streams, a row per run that has edges.
+
+    ``schedules``: rows (run, src, dst, seq, cmp, guarded) and the columns of ``order``; ``run`` is a place in ``runs``.  A
+    run streams through its task in order; the task holds its replica masks, loads and one batch.
+    """
+    hashed = any(r.tie == "hash" for r in runs)
+
+    def start(part: pa.RecordBatch) -> Placer:
+        r = runs[part.column("run")[0].as_py()]
+        return Placer(r.p, _ratio(r.guard), r.tie, r.seed)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        def row(number: int, placer: Placer) -> pa.RecordBatch:
+            values = (number, len(placer.at), placer.placed, sum(m.bit_count() for m in placer.at.values()), placer.top)
+            return pa.RecordBatch.from_arrays([pa.array([x], t) for x, t in zip(values, (pa.int32(), *[pa.int64()] * 4))], names=["run", "n_vertices", "n_edges", "copies", "max_edges"])
+
+        number, placer = None, None
+        for part, now, _ in _streams(batches, "run", start):
+            if now is not placer:
+                if placer is not None:
+                    yield row(number, placer)
+                number, placer = part.column("run")[0].as_py(), now
+        if placer is not None:
+            yield row(number, placer)
+
+    rows = schedules.select("run", *order, "src", "dst", "seq", F.col("cmp").cast("byte").alias("cmp"), "guarded")
+    rows = rows.repartition(len(runs), "run").sortWithinPartitions("run", *order)
+    # What only the order needs stays in Spark.
+    return rows.select("run", "src", "dst", F.col("seq") if hashed else F.lit(0).cast("byte").alias("seq"), "cmp", "guarded").mapInArrow(run, MEASURES)
+
+
+def bounded_total_degree(stream: DataFrame, p: int, max_buffer: int, hub_threshold: int | None = None, guard: float | None = 1.1, guard_scope: str = "direct", release: str = "first", tie: str = "lowest", seed: int = 0) -> DataFrame:
+    """(src, dst, seq, part, place_seq): the total-degree method with at most ``max_buffer`` held edges, as one stream."""
+    ratio = _ratio(guard)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        engine = Buffered(p, hub_threshold, ratio, guard_scope, release, tie, seed, max_buffer)
+        held: tuple[int, list[int], int] | None = None
+        done = 0
+
+        def rows(found) -> pa.RecordBatch:
+            nonlocal done
+            found = list(found)
+            done += len(found)
+            u, v, s, k = zip(*found) if found else ((), (), (), ())
+            return pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64()), pa.array(s, pa.int64()), pa.array(k, pa.int32()), pa.array(range(done - len(found), done), pa.int64())], names=["src", "dst", "seq", "part", "place_seq"])
+
+        for b in batches:
+            out = []
+            for u, v, s in zip(*(b.column(n).to_pylist() for n in ("src", "dst", "seq"))):
+                if held is not None and held[0] == u:
+                    held[1].append(v)
+                    continue
+                if held is not None:
+                    out += engine.block(*held)
+                held = (u, [v], s)
+            yield rows(out)
+        if held is not None:
+            yield rows([*engine.block(*held), *engine.flush()])
+
+    return stream.select("src", "dst", "seq").repartition(1).sortWithinPartitions("seq").mapInArrow(run, "src long, dst long, seq long, part int, place_seq long")
 
-    def run(table: pa.Table) -> pa.Table:
-        t = table.sort_by("place_seq")
-        first = {n: t.column(n)[0].as_py() for n in ("run_id", "p", "guard", "tie", "seed")}
-        placer = Placer(first["p"], _ratio(first["guard"] or None), first["tie"], first["seed"])
-        return pa.table([t.column("run_id"), *(t.column(n) for n in _FIELDS[:-1]), _place(placer, t)], names=["run_id", *_FIELDS])
 
-    return schedules.groupBy("run_id").applyInArrow(run, "run_id string, " + PLACED)
+def _run(s: DataFrame, p: int, guard: float | None, tie: str | None, seed: int, shards: int | None) -> DataFrame:
+    """The exact engine, or shards; ``tie`` None is the engine's own default."""
+    return exact(s, p, guard, tie or "lowest", seed) if shards is None else sharded(s, p, shards, guard, tie or "rotate", seed)
 
 
-def greedy_affinity(stream: DataFrame, p: int, guard: float | None = 1.1, tie: str = "lowest", seed: int = 0, shards: int | None = None) -> DataFrame:
-    s = S.plain_schedule(stream)
-    return exact(s, p, guard, tie, seed) if shards is None else sharded(s, p, shards, guard, tie, seed)
+def greedy_affinity(stream: DataFrame, p: int, guard: float | None = 1.1, tie: str | None = None, seed: int = 0, shards: int | None = None) -> DataFrame:
+    return _run(S.plain_schedule(stream), p, guard, tie, seed, shards)
 
 
 def greedy_indegree(
-    stream: DataFrame, p: int, guard: float | None = 1.1, tie: str = "lowest", seed: int = 0, degree: str = "in", count_before: bool = True, degrees: DataFrame | None = None, shards: int | None = None
+    stream: DataFrame, p: int, guard: float | None = 1.1, tie: str | None = None, seed: int = 0, degree: str = "in", count_before: bool = True, degrees: DataFrame | None = None, shards: int | None = None
 ) -> DataFrame:
     """``degree`` 'in' counts arrivals; 'out' or 'total', or given ``degrees``, use the whole graph's."""
     s = S.indegree_schedule(stream, count_before) if degree == "in" and degrees is None else S.degree_schedule(stream, degrees, degree)
-    return exact(s, p, guard, tie, seed) if shards is None else sharded(s, p, shards, guard, tie, seed)
+    return _run(s, p, guard, tie, seed, shards)
 
 
 def greedy_total_degree(
-    stream: DataFrame, p: int, hub_threshold: int | None = None, guard: float | None = 1.1, guard_scope: str = "direct", release: str = "first", tie: str = "lowest", flush: str = "end", seed: int = 0, shards: int | None = None
+    stream: DataFrame, p: int, hub_threshold: int | None = None, guard: float | None = 1.1, guard_scope: str = "direct", release: str = "first", tie: str | None = None, flush: str = "end", seed: int = 0, shards: int | None = None
 ) -> DataFrame:
     s = S.total_degree_schedule(stream, p, hub_threshold, guard_scope, release, flush)
-    return exact(s, p, guard, tie, seed) if shards is None else sharded(s, p, shards, guard, tie, seed)
+    return _run(s, p, guard, tie, seed, shards)

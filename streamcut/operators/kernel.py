@@ -73,6 +73,39 @@ class Placer:
         return k
 
 
+    def run(self, us, vs, cmps, guards, seqs, skips=None) -> list[int | None]:
+        """``place`` for many edges in turn; None for those to skip."""
+        out = []
+        get, put, loads, p, every = self.at.get, self.at.__setitem__, self.loads, self.p, self.every
+        num, den = self.guard if self.guard is not None else (0, 0)
+        lowest, placed, top = self.tie == "lowest", self.placed, self.top
+        for n, (u, v, c, g) in enumerate(zip(us, vs, cmps, guards)):
+            if skips is not None and skips[n]:
+                out.append(None)
+                continue
+            a, b = get(u, 0), get(v, 0)
+            if g and num and placed and den * p * top >= num * placed:
+                mask = every
+            else:
+                mask = a & b or ((a | b) if c == 0 else (a or b) if c < 0 else (b or a)) or every
+            if not mask & (mask - 1):
+                k = mask.bit_length() - 1
+            elif lowest and mask == every:
+                k = loads.index(min(loads))
+            else:
+                k = self.least(mask, seqs[n])
+            bit = 1 << k
+            put(u, a | bit)
+            put(v, (a | bit if u == v else b | bit))
+            loads[k] += 1
+            placed += 1
+            if loads[k] > top:
+                top = loads[k]
+            out.append(k)
+        self.placed, self.top = placed, top
+        return out
+
+
 def marginal_copies(at: dict[int, int], u: int, v: int, k: int) -> int:
     """New replicas if edge (u, v) goes to part k."""
     return sum(not at.get(w, 0) >> k & 1 for w in {u, v})
@@ -99,22 +132,51 @@ def naive_scores(placer: Placer, u: int, v: int, cmp: int, family: str) -> list[
 
 
 class Buffered:
-    """The total-degree method as a live process with real buffers; it must place as the schedule's sort does."""
+    """The total-degree method as a live process with real buffers; it must place as the schedule's sort does.
 
-    def __init__(self, p: int, hub_threshold: int | None = None, guard=(11, 10), guard_scope: str = "direct", release: str = "first", tie: str = "lowest", seed: int = 0):
+    ``max_buffer`` bounds the edges held: at that number the oldest held edge is placed at once, by in-degrees, as an
+    edge out of a small source would be.
+    """
+
+    def __init__(self, p: int, hub_threshold: int | None = None, guard=(11, 10), guard_scope: str = "direct", release: str = "first", tie: str = "lowest", seed: int = 0, max_buffer: int | None = None):
         self.placer = Placer(p, guard, tie, seed)
         self.limit = p if hub_threshold is None else hub_threshold
-        self.scope, self.release = guard_scope, release
+        self.scope, self.release, self.max_buffer = guard_scope, release, max_buffer
         self.d_in: dict[int, int] = {}
         self.d_out: dict[int, int] = {}
-        self.waiting: dict[int, list[tuple[int, int]]] = {}
-        self.buffered = self.peak = 0
+        #: Held edges: target -> {number: source}, and all numbers by age.
+        self.waiting: dict[int, dict[int, int]] = {}
+        self.oldest: dict[int, int] = {}
+        self.buffered = self.peak = self.evicted = 0
+
+    def _total(self, u: int, v: int) -> int:
+        d = self.d_in.get(u, 0) + self.d_out.get(u, 0) - self.d_in.get(v, 0) - self.d_out.get(v, 0)
+        return (d > 0) - (d < 0)
+
+    def _in(self, u: int, v: int) -> int:
+        d = self.d_in.get(u, 0) - self.d_in.get(v, 0)
+        return (d > 0) - (d < 0)
 
     def _late(self, target: int):
-        for u, seq in self.waiting.pop(target, ()):
+        for seq, u in self.waiting.pop(target, {}).items():
+            del self.oldest[seq]
             self.buffered -= 1
-            d = self.d_in.get(u, 0) + self.d_out.get(u, 0) - self.d_in.get(target, 0) - self.d_out.get(target, 0)
-            yield u, target, seq, self.placer.place(u, target, (d > 0) - (d < 0), self.scope == "all", seq)
+            yield u, target, seq, self.placer.place(u, target, self._total(u, target), self.scope == "all", seq)
+
+    def _hold(self, u: int, v: int, seq: int):
+        self.waiting.setdefault(v, {})[seq] = u
+        self.oldest[seq] = v
+        self.buffered += 1
+        if self.max_buffer is not None and self.buffered > self.max_buffer:
+            first = next(iter(self.oldest))
+            target = self.oldest.pop(first)
+            source = self.waiting[target].pop(first)
+            if not self.waiting[target]:
+                del self.waiting[target]
+            self.buffered -= 1
+            self.evicted += 1
+            yield source, target, first, self.placer.place(source, target, self._in(source, target), self.scope == "all", first)
+        self.peak = max(self.peak, self.buffered)
 
     def block(self, u: int, targets: list[int], seq: int):
         """Rows (u, v, seq, part) placed by the arrival of u with its out-edges."""
@@ -123,22 +185,32 @@ class Buffered:
             yield from self._late(u)
         for k, v in enumerate(targets):
             self.d_in[v] = self.d_in.get(v, 0) + 1
-            d = self.d_in.get(u, 0) - self.d_in.get(v, 0)
-            if v in self.d_out:
-                d += self.d_out[u] - self.d_out[v]
-            elif len(targets) >= self.limit:
-                self.waiting.setdefault(v, []).append((u, seq + k))
-                self.buffered += 1
-                self.peak = max(self.peak, self.buffered)
+            if v not in self.d_out and len(targets) >= self.limit:
+                yield from self._hold(u, v, seq + k)
                 continue
-            yield u, v, seq + k, self.placer.place(u, v, (d > 0) - (d < 0), self.scope != "none", seq + k)
+            cmp = self._total(u, v) if v in self.d_out else self._in(u, v)
+            yield u, v, seq + k, self.placer.place(u, v, cmp, self.scope != "none", seq + k)
         if self.release == "last":
             yield from self._late(u)
 
+    def edge(self, u: int, v: int, seq: int, method: str) -> int:
+        """The part of one edge by a method that needs no blocks."""
+        self.d_in[v] = self.d_in.get(v, 0) + 1
+        return self.placer.place(u, v, self._in(u, v) if method == "greedy_indegree" else 0, True, seq)
+
     def flush(self):
-        rest = sorted((seq, u, v) for v, held in self.waiting.items() for u, seq in held)
-        self.waiting = {}
+        rest = [(seq, self.waiting[v][seq], v) for seq, v in sorted(self.oldest.items())]
+        self.waiting, self.oldest = {}, {}
         for seq, u, v in rest:
             self.buffered -= 1
-            d = self.d_in.get(u, 0) + self.d_out.get(u, 0) - self.d_in.get(v, 0)
-            yield u, v, seq, self.placer.place(u, v, (d > 0) - (d < 0), self.scope == "all", seq)
+            yield u, v, seq, self.placer.place(u, v, self._total(u, v), self.scope == "all", seq)
+
+
+#: Methods that the live process, the table function and ``Buffered`` know.
+LIVE = ("greedy_affinity", "greedy_indegree", "greedy_total_degree")
+
+
+def check_live(method: str) -> str:
+    if method not in LIVE:
+        raise ValueError(f"unknown live method {method}; known: {LIVE}")
+    return method

@@ -21,8 +21,9 @@ def replica_sets(placed: DataFrame) -> DataFrame:
 
 
 def replica_masks(placed: DataFrame) -> DataFrame:
-    """(v, mask, copies) as 64-bit masks, for up to 63 parts."""
-    bits = placed.select(F.explode(F.array_distinct(F.array("src", "dst"))).alias("v"), F.expr("shiftleft(1L, part)").alias("b"))
+    """(v, mask, copies) as 64-bit masks, for up to 63 parts; a higher part is an error (use ``replica_sets``)."""
+    bit = F.when((F.col("part") >= 0) & (F.col("part") < 63), F.expr("shiftleft(1L, part)")).otherwise(F.raise_error(F.concat(F.lit("masks hold parts 0 to 62, not "), F.col("part").cast("string"))).cast("long"))
+    bits = placed.where("part is not null").select(F.explode(F.array_distinct(F.array("src", "dst"))).alias("v"), bit.alias("b"))
     return bits.groupBy("v").agg(F.bit_or("b").alias("mask")).withColumn("copies", F.bit_count("mask").cast("long"))
 
 

@@ -5,10 +5,11 @@ Neither observed degrees nor the postponement of edges depend on where edges are
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .stateless import running_count, with_degrees
+from .transforms import number_rows, running_sum
 
 END = 1 << 62
 
@@ -39,48 +40,65 @@ def plain_schedule(stream: DataFrame) -> DataFrame:
     return stream.select("src", "dst", "arrival", "seq", F.col("seq").alias("place_seq"), F.lit(0).alias("cmp"), F.lit("small").alias("class"), F.lit(True).alias("guarded"))
 
 
-def total_degree_schedule(
-    stream: DataFrame, p: int, hub_threshold: int | None = None, guard_scope: str = "direct", release: str = "first", flush: str = "end"
-) -> DataFrame:
-    """The decision table of the total-degree method as a sort.
+def total_degree_base(stream: DataFrame, release: str = "first") -> DataFrame:
+    """What the total-degree method needs of each edge, whatever the parts and the hub threshold.
 
-    Target known (its block has come): total degrees at the edge's arrival.  Unknown and the source has fewer than
-    ``hub_threshold`` (p) out-edges: in-degrees.  Else postponed: total degrees when the target's block comes, or at the
-    end of the stream with no out-edges of the target.
+    Rows (src, dst, arrival, seq, out_u, known, cmp_in, cmp_all, cmp_late, late_arrival): whether the target's block has
+    come; the signs of the difference of in-degrees and of total degrees at the edge's arrival, and of total degrees when
+    the target's block comes (or at the end of the stream, with no out-edges of the target); and when that is.
     """
-    limit = p if hub_threshold is None else hub_threshold
     blocks = stream.groupBy("src").agg(F.count("*").alias("d_out"), F.min("arrival").alias("came"), F.min("seq").alias("first_seq"), F.max("seq").alias("last_seq"))
-    e = stream.join(blocks.select("src", F.col("d_out").alias("out_u")), "src")
+    e = stream.select("src", "dst", "arrival", "seq").join(blocks.select("src", F.col("d_out").alias("out_u")), "src")
     e = e.join(blocks.select(F.col("src").alias("dst"), F.col("d_out").alias("out_v"), F.col("came").alias("came_v"), "first_seq", "last_seq"), "dst", "left")
-    known = F.col("came_v").isNotNull() & (F.col("came_v") <= F.col("arrival"))
-    kind = F.when(known, "known").when(F.col("out_u") < F.lit(limit), "small").otherwise("postponed")
-    e = e.withColumn("class", kind)
-    late = F.col("class") == "postponed"
-    arrival = F.when(~late, F.col("arrival")).when(F.col("came_v").isNotNull(), F.col("came_v")).otherwise(F.lit(END))
-    phase = F.when(late, 0 if release == "first" else 2).otherwise(1)
-    # Degree events up to this position are seen when the edge is placed.
-    at = F.when(~late, F.col("seq")).when(F.col("came_v").isNull(), F.lit(END)).otherwise(F.col("first_seq") - 1 if release == "first" else F.col("last_seq"))
-    e = e.withColumn("place_arrival", arrival).withColumn("phase", phase).withColumn("pos", at)
-    # Positions at the end all count everything: bring them into the range of the stream.
+    e = e.withColumn("known", F.col("came_v").isNotNull() & (F.col("came_v") <= F.col("arrival")))
     last = stream.agg(F.max("seq").alias("m"))
-    e = e.crossJoin(F.broadcast(last)).withColumn("pos", F.least("pos", "m"))  # one row
-    probes = e.select("seq", "pos", F.explode(F.array(F.struct(F.col("src").alias("v"), F.lit(0).alias("side")), F.struct(F.col("dst").alias("v"), F.lit(1).alias("side")))).alias("x")).select("x.v", "pos", "seq", "x.side")
-    n = _in_degree_at(stream, probes).groupBy("seq").agg(F.max(F.when(F.col("side") == 0, F.col("n"))).alias("in_u"), F.max(F.when(F.col("side") == 1, F.col("n"))).alias("in_v"))
-    e = e.join(n, "seq")
-    out_v = F.coalesce("out_v", F.lit(0))
-    cmp = F.when(F.col("class") == "small", _cmp(F.col("in_u"), F.col("in_v"))).otherwise(_cmp(F.col("in_u") + F.col("out_u"), F.col("in_v") + out_v))
+    e = e.crossJoin(F.broadcast(last))  # one row
+    # In-degree events up to this position are seen when a held edge is placed.
+    late = F.when(F.col("came_v").isNull(), F.col("m")).otherwise(F.col("first_seq") - 1 if release == "first" else F.col("last_seq"))
+    ends = [F.struct(F.col(c).alias("v"), F.lit(k).alias("side")) for k, c in enumerate(("src", "dst"))]
+    now = e.select("seq", F.col("seq").alias("pos"), F.explode(F.array(*ends)).alias("x"))
+    # Only an edge whose target hasn't come can be held.
+    then = e.where("not known").select("seq", late.alias("pos"), F.explode(F.array(*[x.withField("side", x["side"] + 2) for x in ends])).alias("x"))
+    n = _in_degree_at(stream, now.unionByName(then).select("x.v", "pos", "seq", "x.side")).groupBy("seq").agg(*[F.max(F.when(F.col("side") == k, F.col("n"))).alias(c) for k, c in enumerate(("in_u", "in_v", "late_u", "late_v"))])
+    e, out_v = e.join(n, "seq"), F.coalesce("out_v", F.lit(0))
+    return e.select(
+        "src", "dst", "arrival", "seq", "out_u", "known", _cmp(F.col("in_u"), F.col("in_v")).alias("cmp_in"), _cmp(F.col("in_u") + F.col("out_u"), F.col("in_v") + out_v).alias("cmp_all"),
+        _cmp(F.col("late_u") + F.col("out_u"), F.col("late_v") + out_v).alias("cmp_late"), F.coalesce("came_v", F.lit(END)).alias("late_arrival"),
+    )
+
+
+def total_degree_rows(base: DataFrame, p: int, hub_threshold: int | None = None, guard_scope: str = "direct", release: str = "first") -> DataFrame:
+    """The decision table over ``total_degree_base``, ordered by (place_arrival, phase, seq): a projection.
+
+    Target known: total degrees at the edge's arrival.  Unknown and the source has fewer than ``hub_threshold`` (p)
+    out-edges: in-degrees.  Else postponed to the target's block or the end of the stream: total degrees then.
+    """
+    limit = p if hub_threshold is None else hub_threshold
+    e = base.withColumn("class", F.when(F.col("known"), "known").when(F.col("out_u") < F.lit(limit), "small").otherwise("postponed"))
+    late = F.col("class") == "postponed"
+    cmp = F.when(late, F.col("cmp_late")).when(F.col("known"), F.col("cmp_all")).otherwise(F.col("cmp_in"))
     guarded = {"all": F.lit(True), "none": F.lit(False), "direct": ~late}[guard_scope]
-    rows = e.select("src", "dst", "arrival", "seq", cmp.alias("cmp"), "class", guarded.alias("guarded"), "place_arrival", "phase")
-    if flush == "drop":
-        rows = rows.withColumn("dropped", F.col("place_arrival") == END)
-    from .transforms import number_rows
+    return e.select(
+        "src", "dst", "arrival", "seq", cmp.alias("cmp"), "class", guarded.alias("guarded"), F.when(late, F.col("late_arrival")).otherwise(F.col("arrival")).alias("place_arrival"),
+        F.when(late, 0 if release == "first" else 2).otherwise(1).alias("phase"),
+    )
+
 
-    return number_rows(rows, [F.col("place_arrival"), F.col("phase"), F.col("seq")], "place_seq")
+def total_degree_schedule(
+    stream: DataFrame, p: int, hub_threshold: int | None = None, guard_scope: str = "direct", release: str = "first", flush: str = "end", rows: int | None = None
+) -> DataFrame:
+    """``total_degree_rows`` with positions.  ``flush`` 'drop' marks edges whose target never comes as dropped.
+
+    ``rows``: the stream's edges, if their number is known.
+    """
+    placed = total_degree_rows(total_degree_base(stream, release), p, hub_threshold, guard_scope, release)
+    if flush == "drop":
+        placed = placed.withColumn("dropped", F.col("place_arrival") == END)
+    return number_rows(placed, [F.col("place_arrival"), F.col("phase"), F.col("seq")], "place_seq", rows)
 
 
 def buffer_occupancy(schedule: DataFrame) -> DataFrame:
     """(arrival, buffered): edges held after each arrival of a block; the last row (arrival = END) is after the flush."""
     moves = schedule.where("class = 'postponed'").select(F.explode(F.array(F.struct(F.col("arrival").alias("a"), F.lit(1).alias("d")), F.struct(F.col("place_arrival").alias("a"), F.lit(-1).alias("d")))).alias("m"))
     steps = moves.groupBy(F.col("m.a").alias("arrival")).agg(F.sum("m.d").alias("d"))
-    # A row per arrival that moves the buffer.
-    return steps.select("arrival", F.sum("d").over(Window.orderBy("arrival")).alias("buffered"))
+    return running_sum(steps, "arrival", "d", "buffered").select("arrival", "buffered")

@@ -97,14 +97,33 @@ ONE_WINDOW = 2_000_000
 
 
 def number_rows(df: DataFrame, order: list[Column | str], name: str, rows: int | None = None) -> DataFrame:
-    """Consecutive numbers from 0 in the given total order."""
+    """Consecutive numbers from 0 in the given total order.
+
+    ``rows``: their number, if the caller knows it; else the input is written once and counted there, not computed twice.
+    """
     from ..plans.scratch import keep
 
-    if (df.count() if rows is None else rows) <= ONE_WINDOW:
+    if rows is None:
+        df = keep(df, "numbered")
+        rows = df.count()
+    if rows <= ONE_WINDOW:
         return df.withColumn(name, (F.row_number().over(Window.orderBy(*order)) - 1).cast("long"))
     n = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     placed = df.repartitionByRange(n, *order).sortWithinPartitions(*order).withColumn("_m", F.monotonically_increasing_id())
     placed = keep(placed.withColumn("_p", F.shiftright("_m", 33)).withColumn("_i", F.col("_m").bitwiseAND((1 << 33) - 1)), "ranged")
     sizes = placed.groupBy("_p").agg(F.count("*").alias("_n"))
-    before = sizes.withColumn("_b", F.coalesce(F.sum("_n").over(Window.orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
+    before = sizes.withColumn("_b", F.coalesce(F.sum("_n").over(Window.orderBy("_p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))  # a row per range
     return placed.join(F.broadcast(before.select("_p", "_b")), "_p").withColumn(name, F.col("_b") + F.col("_i")).drop("_m", "_p", "_i", "_b")
+
+
+def running_sum(df: DataFrame, position: str, value: str, name: str, block: int = 100_000) -> DataFrame:
+    """``df`` with the sum of ``value`` up to each row's position (rows of one position count together).
+
+    Sums per block of positions are added up first, so that no window holds more than one block or a row per block.
+    """
+    b = F.floor(F.col(position) / block).cast("long")
+    rows = df.withColumn("_b", b)
+    sums = rows.groupBy("_b").agg(F.sum(value).alias("_s"))
+    before = sums.select("_b", F.coalesce(F.sum("_s").over(Window.orderBy("_b").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+    inside = F.sum(value).over(Window.partitionBy("_b").orderBy(position).rangeBetween(Window.unboundedPreceding, 0))
+    return rows.withColumn("_inside", inside).join(before, "_b").withColumn(name, F.col("_before") + F.col("_inside")).drop("_b", "_inside", "_before")

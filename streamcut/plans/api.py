@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
@@ -67,16 +68,26 @@ class Placement:
         return out.select(F.lit(graph).alias("graph"), F.lit(self.order).alias("arrival_order"), F.lit(self.method).alias("method"), F.lit(self.p).alias("p"), F.lit(self.engine).alias("engine"), F.lit(self.shards).alias("shards"), *out.columns)
 
 
-def make_schedule(stream: DataFrame, method: str, p: int, **opts) -> DataFrame:
+def make_schedule(stream: DataFrame, method: str, p: int, rows: int | None = None, **opts) -> DataFrame:
     if method == "greedy_affinity":
         return schedule.plain_schedule(stream)
     if method == "greedy_indegree":
         return schedule.indegree_schedule(stream, opts.get("count_before", True)) if opts.get("degree", "in") == "in" and "degrees" not in opts else schedule.degree_schedule(stream, opts.get("degrees"), opts.get("degree", "total"))
-    return schedule.total_degree_schedule(stream, p, opts.get("hub_threshold"), opts.get("guard_scope", "direct"), opts.get("release", "first"), opts.get("flush", "end"))
+    return schedule.total_degree_schedule(stream, p, opts.get("hub_threshold"), opts.get("guard_scope", "direct"), opts.get("release", "first"), opts.get("flush", "end"), rows)
+
+
+#: Options of the greedy methods, by what they act on.
+_COMMON = {"guard", "tie"}
+_OWN = {"greedy_affinity": set(), "greedy_indegree": {"degree", "degrees", "count_before"}, "greedy_total_degree": {"hub_threshold", "guard_scope", "release", "flush"}}
+_ENGINE = {"exact": set(), "sharded": {"shards"}, "snapshot": {"batch"}}
 
 
 def partition(edges: DataFrame, method: str, p: int, order: str = "random", engine: str = "exact", seed: int = 0, **opts) -> Placement:
-    """Places ``edges`` (src, dst).  engine: 'exact', 'sharded' (opts: shards) or 'snapshot' (opts: batch), whatever the size."""
+    """Places ``edges`` (src, dst).  engine: 'exact', 'sharded' (opts: shards) or 'snapshot' (opts: batch), whatever the size.
+
+    An option that the method or the engine doesn't know is an error; so is the total-degree method on snapshots, which
+    can't hold edges back.
+    """
     if method not in METHODS:
         raise ValueError(f"unknown method {method}; known: {sorted(METHODS)}")
     if engine not in ENGINES:
@@ -84,49 +95,113 @@ def partition(edges: DataFrame, method: str, p: int, order: str = "random", engi
     if not METHODS[method][0]:
         call = edgecut.hybrid_threshold if method == "hybrid_threshold" else getattr(stateless, method)
         return Placement(call(edges, p, seed=seed, **opts), p, method, order, None, opts)
-    stream = keep(ordering.stream(edges, order, seed, **{k: opts.pop(k) for k in ("start", "follow", "key") if k in opts}), "stream")
+    stream_opts = {k: opts.pop(k) for k in ("start", "follow", "key") if k in opts}
+    known = ({"guard"} if engine == "snapshot" else _COMMON | _OWN[method]) | _ENGINE[engine]
+    if odd := sorted(set(opts) - known):
+        raise ValueError(f"{method} on the {engine} engine takes no {odd}; it takes {sorted(known)}")
+    if engine == "snapshot" and (method == "greedy_total_degree" or opts.get("guard", 1.1) is None):
+        raise ValueError("the snapshot engine places greedy_affinity and greedy_indegree, with a guard")
+    stream = keep(ordering.stream(edges, order, seed, **stream_opts), "stream")
     if engine == "snapshot":
-        out = snapshot.run_batches(stream, p, opts.get("batch", 100_000), seed=seed, degree_aware=method != "greedy_affinity")
+        out = snapshot.run_batches(stream, p, opts.get("batch", 100_000), seed=seed, guard=opts.get("guard", 1.1), degree_aware=method != "greedy_affinity")
         return Placement(out, p, method, order, None, opts, engine)
-    s = keep(make_schedule(stream, method, p, **opts), "schedule")
-    guard, tie, shards = opts.get("guard", 1.1), opts.get("tie", "lowest"), 0
+    s = keep(make_schedule(stream, method, p, stream.count(), **opts), "schedule")
+    guard, shards = opts.get("guard", 1.1), 0
     if engine == "sharded":
         shards = opts.get("shards") or int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        placed = greedy.sharded(s, p, shards, guard, tie, seed)
+        placed = greedy.sharded(s, p, shards, guard, opts.get("tie", "rotate"), seed)
     else:
-        placed = greedy.exact(s, p, guard, tie, seed)
+        placed = greedy.exact(s, p, guard, opts.get("tie", "lowest"), seed)
     # One evaluation: the sequential pass would run again for each measure.
     return Placement(keep(placed, "placed"), p, method, order, s, opts, engine, shards)
 
 
-def compare(graphs: dict[str, DataFrame], orders: tuple[str, ...] = ("random", "bfs", "dfs"), methods: tuple[str, ...] = ("edge_hash", "grid_hash", "greedy_affinity", "greedy_indegree", "greedy_total_degree"), ps: tuple[int, ...] = (48,), seed: int = 0, **opts) -> DataFrame:
+FIVE = ("edge_hash", "grid_hash", "greedy_affinity", "greedy_indegree", "greedy_total_degree")
+
+
+def disjoint(graphs: dict[str, DataFrame]) -> DataFrame:
+    """(src, dst): the graphs side by side as one graph; the last six bits of a vertex are its graph's number."""
+    if len(graphs) > 64:
+        raise ValueError("at most 64 graphs at once")
+    out = None
+    for k, edges in enumerate(graphs.values()):
+        own = lambda c: F.shiftleft(F.xxhash64(F.lit(k), F.col(c)), 6).bitwiseOR(F.lit(k)).alias(c)  # noqa: B023, E731
+        e = edges.select(own("src"), own("dst"))
+        out = e if out is None else out.unionByName(e)
+    return out
+
+
+ORDER = ("place_arrival", "phase", "seq")
+
+
+class Runs:
+    """Runs of the greedy methods for ``greedy.grid_of_runs``, collected as projections of shared prepasses."""
+
+    def __init__(self):
+        self.runs: list[greedy.Run] = []
+        self.labels: list[tuple] = []
+        self.rows: DataFrame | None = None
+
+    def _add(self, rows: DataFrame, labels: list[tuple], run: greedy.Run) -> None:
+        """Rows of one run for each graph of a disjoint union; ``labels`` by the graph's number."""
+        first = len(self.runs)
+        self.runs += [run] * len(labels)
+        self.labels += labels
+        own = rows.select((F.col("src").bitwiseAND(63) + first).cast("int").alias("run"), "src", "dst", "seq", "cmp", "guarded", "place_arrival", "phase")
+        self.rows = own if self.rows is None else self.rows.unionByName(own)
+
+    def plain(self, schedule: DataFrame, labels: list[tuple], run: greedy.Run) -> None:
+        """A method without buffers: a schedule with ``cmp``."""
+        self._add(schedule.withColumns({"guarded": F.lit(True), "place_arrival": F.col("arrival"), "phase": F.lit(1)}), labels, run)
+
+    def method(self, base: DataFrame, method: str, labels: list[tuple], run: greedy.Run, hub_threshold: int | None = None, guard_scope: str = "direct", release: str = "first") -> None:
+        """``base``: ``schedule.total_degree_base`` with the same ``release``; it serves all methods and numbers of parts."""
+        if method == "greedy_total_degree":
+            self._add(schedule.total_degree_rows(base, run.p, hub_threshold, guard_scope, release), labels, run)
+        else:
+            self.plain(base.withColumn("cmp", F.col("cmp_in") if method == "greedy_indegree" else F.lit(0)), labels, run)
+
+    def measures(self, names: str) -> DataFrame:
+        """``names``: the labels' columns; with n_vertices, n_edges, copies, p, replication_factor and imbalance."""
+        spark = self.rows.sparkSession
+        done = keep(greedy.grid_of_runs(self.rows, self.runs, ORDER), "runs")
+        labels = spark.createDataFrame([(k, r.p, *x) for k, (r, x) in enumerate(zip(self.runs, self.labels))], f"run int, p int, {names}")
+        out = done.join(F.broadcast(labels), "run").drop("run")  # a row a run
+        return out.withColumn("replication_factor", F.col("copies") / F.col("n_vertices")).withColumn("imbalance", F.col("max_edges") * F.col("p") / F.col("n_edges")).drop("max_edges")
+
+
+def compare(graphs: dict[str, DataFrame], orders: tuple[str, ...] = ("random", "bfs", "dfs"), methods: tuple[str, ...] = FIVE, ps: tuple[int, ...] = (48,), seed: int = 0, guard: float | None = 1.1, tie: str = "lowest", **opts) -> DataFrame:
     """A row of measures for each (graph, order, method, p), with the improvement over greedy affinity.
 
-    All greedy runs go through one grouped plan, a task per run, so that they run side by side.
+    The graphs are put side by side as one graph, so that each order and the prepass are computed once for all of them;
+    all greedy runs go through one plan, a task per run, and return their measures rather than their edges.
     """
-    runs, rows, spark = None, None, None
-    for g, edges in graphs.items():
-        edges, spark = keep(edges, "edges"), edges.sparkSession
-        for o in orders:
-            stream = keep(ordering.stream(edges, o, seed), "stream")
-            for p in ps:
-                for m in methods:
-                    tag = f"{g}|{o}|{m}|{p}"
-                    if METHODS[m][0]:
-                        s = make_schedule(stream, m, p, **opts).select("src", "dst", "arrival", "seq", "place_seq", "cmp", "class", "guarded")
-                        s = s.withColumns({"run_id": F.lit(tag), "p": F.lit(p), "guard": F.lit("" if opts.get("guard", 1.1) is None else str(opts.get("guard", 1.1))), "tie": F.lit(opts.get("tie", "lowest")), "seed": F.lit(seed)})
-                        runs = s if runs is None else runs.unionByName(s)
-                    else:
-                        q = getattr(stateless, m)(edges, p, seed=seed).select(F.lit(tag).alias("run_id"), "src", "dst", "part")
-                        rows = q if rows is None else rows.unionByName(q)
-    if runs is not None:
-        done = keep(greedy.grid_of_runs(runs), "runs").select("run_id", "src", "dst", "part")
-        rows = done if rows is None else rows.unionByName(done)
-    x = F.split("run_id", r"\|")
-    rows = rows.withColumn("p", x[3].cast("int"))
-    c = metrics._copies(rows, ["run_id"]).groupBy("run_id", "v").agg(F.count("*").alias("c")).groupBy("run_id").agg(F.count("*").alias("n_vertices"), F.sum("c").alias("copies"))
-    e = rows.groupBy("run_id", "p", "part").agg(F.count("*").alias("e")).groupBy("run_id", "p").agg(F.sum("e").alias("n_edges"), F.max("e").alias("m"))
-    table = c.join(e, "run_id").select(x[0].alias("graph"), x[1].alias("arrival_order"), x[2].alias("method"), "p", "n_vertices", "n_edges", "copies", (F.col("copies") / F.col("n_vertices")).alias("replication_factor"), (F.col("m") * F.col("p") / F.col("n_edges")).alias("imbalance"))
+    names = list(graphs)
+    edges = keep(disjoint(graphs), "edges")
+    greedy_methods, runs, tables = [m for m in methods if METHODS[m][0]], Runs(), []
+    if greedy_methods:
+        # The orders are independent jobs: run side by side, they fill the gaps of each other's small steps.
+        def prepass(o: str) -> DataFrame:
+            return keep(schedule.total_degree_base(keep(ordering.stream(edges, o, seed), "stream"), opts.get("release", "first")), "base")
+
+        with ThreadPoolExecutor(len(orders)) as pool:
+            bases = list(pool.map(prepass, orders))
+        for o, base in zip(orders, bases):
+            for m in greedy_methods:
+                for p in ps:
+                    runs.method(base, m, [(g, o, m) for g in names], greedy.Run(p, guard, tie, seed), **opts)
+        tables.append(runs.measures("graph string, arrival_order string, method string"))
+    for m in (m for m in methods if not METHODS[m][0]):
+        for p in ps:
+            # Stateless: the same in all orders.
+            placed = getattr(stateless, m)(edges, p, seed=seed).select("src", "dst", "part", F.col("src").bitwiseAND(63).alias("g"))
+            name = F.element_at(F.array(*[F.lit(n) for n in names]), F.col("g").cast("int") + 1)
+            one = metrics.summary(placed, p, ["g"]).withColumns({"graph": name, "method": F.lit(m), "p": F.lit(p), "arrival_order": F.explode(F.array(*[F.lit(o) for o in orders]))})
+            tables.append(one.drop("g"))
+    columns = ["graph", "arrival_order", "method", "p", "n_vertices", "n_edges", "copies", "replication_factor", "imbalance"]
+    table = tables[0].select(columns)
+    for t in tables[1:]:
+        table = table.unionByName(t.select(columns))
     return metrics.improvement(keep(table, "metrics")) if "greedy_affinity" in methods else table
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -9,9 +10,15 @@ from pyspark.sql import DataFrame
 
 
 def shared_folder(spark) -> str:
-    """``spark.checkpoint.dir`` of the session; only where it is unset (local tests) a temporary folder is set."""
+    """``spark.checkpoint.dir`` of the session.
+
+    Where it is unset, a temporary folder is set if driver and tasks are one machine (``local``, as in tests); on a
+    cluster that is an error, since a machine's own folder would lose the tables.
+    """
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not root:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
         root = tempfile.mkdtemp(prefix="streamcut-")
         spark.sparkContext.setCheckpointDir(root)
     return root.rstrip("/")
@@ -20,4 +27,15 @@ def shared_folder(spark) -> str:
 def keep(df: DataFrame, name: str = "t") -> DataFrame:
     path = f"{shared_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex[:12]}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._scratch_path = path
+    return out
+
+
+def drop(*frames: DataFrame | None) -> None:
+    """Removes tables made by ``keep`` that no later plan reads; others are left alone."""
+    for df in frames:
+        if path := getattr(df, "_scratch_path", None):
+            spark = df.sparkSession
+            path = spark._jvm.org.apache.hadoop.fs.Path(path)
+            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)

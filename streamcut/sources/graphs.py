@@ -9,6 +9,8 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -38,8 +40,9 @@ def _edges(df: DataFrame, src: Column, dst: Column) -> DataFrame:
 
 def _next_words(df: DataFrame) -> DataFrame:
     w = df.select(words(F.col("text")).alias("w"))
-    pairs = w.select(F.explode(F.expr("if(size(w) > 1, array_distinct(transform(sequence(1, size(w) - 1), i -> struct(w[i - 1] as a, w[i] as b))), array())")).alias("e"))
-    return _edges(pairs, vertex_id(F.col("e.a")), vertex_id(F.col("e.b")))
+    pairs = w.select(F.explode(F.expr("if(size(w) > 1, transform(sequence(1, size(w) - 1), i -> struct(w[i - 1] as a, w[i] as b)), array())")).alias("e"))
+    # Distinct as words first: only a pair's words are hashed, not every token's.
+    return _edges(pairs.select("e.a", "e.b").distinct(), vertex_id(F.col("a")), vertex_id(F.col("b")))
 
 
 def _hrefs(pages: DataFrame) -> DataFrame:
@@ -47,13 +50,30 @@ def _hrefs(pages: DataFrame) -> DataFrame:
     return pages.select("page_id", host.alias("host"), F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).alias("href"))
 
 
-def _knn(emb: DataFrame, k: int) -> DataFrame:
-    """The ``k`` nearest by cosine.  A small-table helper (it compares all pairs) and no part of the partitioners."""
-    norm = F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double")))
-    e = emb.select("vec_id", "embedding", norm.alias("norm"))
-    a, b = e.alias("a"), F.broadcast(e).alias("b")
-    dot = F.expr("aggregate(zip_with(a.embedding, b.embedding, (x, y) -> cast(x as double) * cast(y as double)), 0D, (s, x) -> s + x)")
-    pairs = a.join(b, F.expr("a.vec_id <> b.vec_id")).select(F.col("a.vec_id").alias("src"), F.col("b.vec_id").alias("dst"), F.round(dot / F.col("a.norm") / F.col("b.norm"), 9).alias("c"))
+def _knn(emb: DataFrame, k: int, block: int = 1024) -> DataFrame:
+    """The ``k`` nearest by cosine, exactly: every vector is a query, asked in blocks against blocks of all vectors.
+
+    The work is that of all pairs; a task holds two blocks and passes on ``k`` rows a query.
+    """
+    n = max(1, -(-emb.count() // block))
+    e = emb.select("vec_id", F.col("embedding").cast("array<double>").alias("embedding"), F.pmod(F.xxhash64("vec_id"), F.lit(n)).cast("int").alias("own"))
+    other = F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    asked = e.select(F.col("own").alias("q"), other.alias("d"), F.lit(1).alias("ask"), "vec_id", "embedding")
+    there = e.select(other.alias("q"), F.col("own").alias("d"), F.lit(0).alias("ask"), "vec_id", "embedding")
+
+    def nearest(t: pa.Table) -> pa.Table:
+        t = t.sort_by("vec_id")
+        ask, ids = t.column("ask").to_numpy() == 1, t.column("vec_id").to_numpy()
+        x = np.stack(t.column("embedding").to_pylist()) if len(ids) else np.zeros((0, 1))
+        norm = np.sqrt((x * x).sum(axis=1))
+        c = np.round(x[ask] @ x[~ask].T / norm[ask][:, None] / norm[~ask], 9) if ask.any() and not ask.all() else np.zeros((int(ask.sum()), 0))
+        c[ids[ask][:, None] == ids[~ask]] = -np.inf
+        top = np.argsort(-c, axis=1, kind="stable")[:, :k]
+        src = np.repeat(ids[ask], top.shape[1])
+        out = pa.table([src, ids[~ask][top].ravel(), np.take_along_axis(c, top, axis=1).ravel()], names=["src", "dst", "c"])
+        return out.filter(pa.array(out.column("src").to_numpy() != out.column("dst").to_numpy()))
+
+    pairs = asked.unionByName(there).groupBy("q", "d").applyInArrow(nearest, "src long, dst long, c double")
     rank = F.row_number().over(Window.partitionBy("src").orderBy(F.desc("c"), "dst"))
     return pairs.withColumn("r", rank).where(F.col("r") <= k).select("src", "dst")
 
@@ -84,7 +104,7 @@ def _t(name: str, f: Callable[[DataFrame], DataFrame]) -> Callable[[SparkSession
 
 
 def _bag(key: str):
-    return lambda df: _edges(df.select(key, F.explode(words(F.col("text"))).alias("w")), F.col(key), other_side(vertex_id(F.col("w"))))
+    return lambda df: _edges(df.select(key, F.explode(F.array_distinct(words(F.col("text")))).alias("w")), F.col(key), other_side(vertex_id(F.col("w"))))
 
 
 def _flip(f):

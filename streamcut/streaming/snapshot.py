@@ -1,13 +1,17 @@
 """Micro-batches scored against the last committed state, as DataFrame plans (up to 63 parts).
 
-The state is a table of vertices (v, mask, d_in) and one of loads (part, n).  In a batch every edge takes the least
-loaded part of its candidate set as of the snapshot; edges of two new vertices meet at the hash of their lower-degree
-end.  A part takes no more than its room under the guard; what is over is poured into the parts with room left.
+The state is a table of vertices (v, mask, d_in), kept as layers of which a newer one replaces an older one's rows, and the
+loads of the parts.  A batch reads the rows of its own vertices and writes a layer of them; now and then the layers become
+one.  In a batch every edge takes the least loaded part of its candidate set as of the snapshot; edges of two new vertices
+meet at the hash of their lower-degree end.  A part takes no more than its room under the guard; what is over is poured
+into the parts with room left.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+import json
+import uuid
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -16,25 +20,42 @@ from ..functions.hashing import bucket
 from ..operators.transforms import number_rows
 from ..plans.scratch import keep
 
+VERTEX = "v long, mask long, d_in long"
+#: Layers that are read side by side before they are merged.
+LAYERS = 8
+
 
 @dataclass
 class State:
-    vertices: DataFrame  # v, mask, d_in
     loads: list[int]
+    layers: list[str] = field(default_factory=list)  # paths, oldest first
+
+    def vertices(self, spark: SparkSession, of: DataFrame | None = None) -> DataFrame:
+        """The newest row of each vertex, or of those in ``of`` (v)."""
+        rows = None
+        for age, path in enumerate(self.layers):
+            layer = spark.read.schema(VERTEX).parquet(path).withColumn("age", F.lit(age))
+            layer = layer if of is None else layer.join(of, "v", "left_semi")
+            rows = layer if rows is None else rows.unionByName(layer)
+        if rows is None:
+            return spark.createDataFrame([], VERTEX)
+        return rows.groupBy("v").agg(F.max_by(F.struct("mask", "d_in"), "age").alias("x")).select("v", "x.mask", "x.d_in")
 
 
 def start(spark: SparkSession, p: int) -> State:
     if p > 63:
         raise ValueError("a snapshot's masks hold at most 63 parts")
-    return State(spark.createDataFrame([], "v long, mask long, d_in long"), [0] * p)
+    return State([0] * p)
 
 
-def step(state: State, batch: DataFrame, p: int, guard: float = 1.1, seed: int = 0, degree_aware: bool = True) -> tuple[DataFrame, State]:
-    """(placed batch, next state) for a batch with src, dst, seq."""
+def step(state: State, batch: DataFrame, p: int, guard: float = 1.1, seed: int = 0, degree_aware: bool = True, layer: str | None = None) -> tuple[DataFrame, State]:
+    """(placed batch, next state) for a batch with src, dst, seq; ``layer``: where the batch's layer is written."""
+    spark = batch.sparkSession
     batch = keep(batch.select("src", "dst", "seq"), "batch")
+    touched = batch.select(F.explode(F.array("src", "dst")).alias("v")).distinct()
     arrived = batch.groupBy(F.col("dst").alias("v")).agg(F.count("*").alias("new"))
-    known = state.vertices.join(arrived, "v", "full").select("v", F.coalesce("mask", F.lit(0)).alias("mask"), (F.coalesce("d_in", F.lit(0)) + F.coalesce("new", F.lit(0))).cast("long").alias("d_in"))
-    known = keep(known, "known")
+    known = touched.join(state.vertices(spark, touched), "v", "left").join(arrived, "v", "left")
+    known = keep(known.select("v", F.coalesce("mask", F.lit(0)).cast("long").alias("mask"), (F.coalesce("d_in", F.lit(0)) + F.coalesce("new", F.lit(0))).cast("long").alias("d_in")), "known")
     a, b = known.select(F.col("v").alias("src"), F.col("mask").alias("mu"), F.col("d_in").alias("du")), known.select(F.col("v").alias("dst"), F.col("mask").alias("mv"), F.col("d_in").alias("dv"))
     e = batch.join(a, "src", "left").join(b, "dst", "left").fillna(0, ["mu", "mv", "du", "dv"])
     low, high = (F.when(F.col("du") < F.col("dv"), F.col(x)).otherwise(F.col(y)) for x, y in (("mu", "mv"), ("mv", "mu")))
@@ -62,11 +83,24 @@ def step(state: State, batch: DataFrame, p: int, guard: float = 1.1, seed: int =
     poured = poured.select("src", "dst", "seq", F.coalesce("part", F.pmod("r", F.lit(p)).cast("int")).alias("part"))
     placed = keep(ranked.where("ok").select("src", "dst", "seq", F.col("want").alias("part")).unionByName(poured), "placed")
     bits = placed.select(F.explode(F.array_distinct(F.array("src", "dst"))).alias("v"), F.expr("shiftleft(1L, part)").alias("m")).groupBy("v").agg(F.bit_or("m").alias("m"))
-    vertices = keep(known.join(bits, "v", "full").select("v", F.coalesce("mask", F.lit(0)).bitwiseOR(F.coalesce("m", F.lit(0))).alias("mask"), F.coalesce("d_in", F.lit(0)).alias("d_in")), "vertices")
+    vertices = known.join(bits, "v").select("v", F.col("mask").bitwiseOR(F.col("m")).alias("mask"), "d_in")
     loads = list(state.loads)
-    for r in placed.groupBy("part").agg(F.count("*").alias("n")).collect():
+    for r in placed.groupBy("part").agg(F.count("*").alias("n")).collect():  # p rows
         loads[r.part] += r.n
-    return placed, State(vertices, loads)
+    if layer is None:
+        layers = [*state.layers, keep(vertices, "layer")._scratch_path]
+    else:
+        vertices.write.mode("overwrite").parquet(layer)
+        layers = [*state.layers, layer]
+    after = State(loads, layers)
+    if len(layers) > LAYERS:
+        merged = after.vertices(spark)
+        if layer is None:
+            after.layers = [keep(merged, "layer")._scratch_path]
+        else:
+            merged.write.mode("overwrite").parquet(f"{layer}-merged")
+            after.layers = [f"{layer}-merged"]
+    return placed, after
 
 
 def run_batches(stream: DataFrame, p: int, batch: int, **opts) -> DataFrame:
@@ -79,15 +113,40 @@ def run_batches(stream: DataFrame, p: int, batch: int, **opts) -> DataFrame:
 
 
 class SnapshotSink:
-    """``foreachBatch`` function; a batch that is replayed replaces its own output, from the state before it."""
+    """``foreachBatch`` function whose state is in ``path``, so that a new sink goes on where the last one stopped.
+
+    A batch that is replayed replaces its own output, from the state before it.
+    """
 
     def __init__(self, spark: SparkSession, path: str, p: int, **opts):
-        self.path, self.p, self.opts, self.states = path, p, opts, {-1: start(spark, p)}
+        self.spark, self.path, self.p, self.opts = spark, path.rstrip("/"), p, opts
+        start(spark, p)  # refuses too many parts
+
+    def _fs(self, path: str):
+        at = self.spark._jvm.org.apache.hadoop.fs.Path(path)
+        return at.getFileSystem(self.spark._jsc.hadoopConfiguration()), at
+
+    def committed(self) -> list[int]:
+        """Batches whose state is complete, in order."""
+        fs, at = self._fs(f"{self.path}/_states")
+        names = [x.getPath() for x in fs.listStatus(at)] if fs.exists(at) else []
+        done = [int(x.getName()) for x in names if x.getName().isdigit() and fs.exists(self.spark._jvm.org.apache.hadoop.fs.Path(x, "_SUCCESS"))]
+        return sorted(done)
+
+    def state(self, before: int | None = None) -> State:
+        """The state after the last batch, or after the last one before ``before``."""
+        done = [k for k in self.committed() if before is None or k < before]
+        return State(**json.loads(self.spark.read.text(f"{self.path}/_states/{done[-1]}").first()[0])) if done else start(self.spark, self.p)
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
-        before = self.states[max(k for k in self.states if k < batch_id)]
         numbered = number_rows(batch, [F.col("ts"), F.col("event_id")], "seq")
-        placed, self.states[batch_id] = step(before, numbered, self.p, **self.opts)
+        # A layer has a name of its own: a replay must not overwrite what a later state still reads.
+        layer = f"{self.path}/_layers/{batch_id}-{uuid.uuid4().hex[:8]}"
+        placed, after = step(self.state(batch_id), numbered, self.p, layer=layer, **self.opts)
         placed.write.mode("overwrite").parquet(f"{self.path}/batch={batch_id}")
-        for old in [k for k in self.states if -1 < k < batch_id - 1]:
-            del self.states[old]
+        text = json.dumps({"loads": after.loads, "layers": after.layers})
+        self.spark.createDataFrame([(text,)], "value string").coalesce(1).write.mode("overwrite").text(f"{self.path}/_states/{batch_id}")
+        # States before the last two can't be asked for again.
+        for old in self.committed()[:-2]:
+            fs, at = self._fs(f"{self.path}/_states/{old}")
+            fs.delete(at, True)

@@ -2,10 +2,11 @@
 
 import tempfile
 
+import pytest
 from pyspark.sql import functions as F
 
-from streamcut.operators import greedy, ordering, schedule, transforms
-from streamcut.plans import sqlapi
+from streamcut.operators import greedy, metrics, ordering, transforms
+from streamcut.plans import api, sqlapi
 from streamcut.sources import files, graphs, zipf
 from streamcut.streaming import live, snapshot
 
@@ -49,6 +50,39 @@ def test_distributed_numbers(spark, monkeypatch):
     monkeypatch.setattr(transforms, "ONE_WINDOW", 10)
     df = spark.range(500).select((F.col("id") * 7 % 500).alias("k"))
     assert all(r.k == r.n for r in transforms.number_rows(df, [F.col("k")], "n").collect())
+    df = spark.createDataFrame([(k // 2, k % 3 - 1) for k in range(200)], "at long, d long")
+    got = transforms.running_sum(df, "at", "d", "s", block=7).collect()
+    assert len(got) == 200 and all(r.s == sum(k % 3 - 1 for k in range(200) if k // 2 <= r["at"]) for r in got)
+
+
+def test_other_formats_and_sinks(spark):
+    root = tempfile.mkdtemp()
+    e = spark.createDataFrame([(1, 2), (2, 3)], "src long, dst long")
+    for fmt in ("json", "orc", "parquet"):
+        e.write.format(fmt).save(f"{root}/{fmt}")
+        assert {tuple(r) for r in files.read_edges(spark, f"{root}/{fmt}", fmt).collect()} == {(1, 2), (2, 3)}
+    q = files.stream_rate(spark, 50, 100).writeStream.format("memory").queryName("rate_edges").start()
+    q.processAllAvailable()
+    q.stop()
+    assert spark.table("rate_edges").columns == ["src", "dst", "ts", "event_id"]
+    files.write_replicas(metrics.replica_sets(e.withColumn("part", F.lit(0))), "replica_table", 4)
+    assert spark.table("replica_table").count() == 3
+    spark.sql("DROP TABLE replica_table")
+    graphs.register_views(spark, "/root/testdata/sf0.001", ("nation", "region"))
+    assert spark.sql("SELECT count(*) AS n FROM nation JOIN region ON n_regionkey = r_regionkey").first().n == 25
+
+
+def test_repeated_edges_of_a_stream_come_once(spark):
+    root = tempfile.mkdtemp()
+    rows = [(k % 9, k % 4, k) for k in range(60)]
+    made = spark.createDataFrame(rows, "src long, dst long, event_id long").withColumn("ts", F.timestamp_seconds(F.col("event_id") + 1_000_000))
+    for _ in range(2):  # one file twice
+        made.coalesce(1).write.mode("append").parquet(f"{root}/in")
+    s = files.stream_edges(spark, f"{root}/in")
+    q = live.exactly_once(s).writeStream.option("checkpointLocation", f"{root}/c").trigger(availableNow=True).format("parquet").start(f"{root}/out")
+    q.awaitTermination()
+    out = [(r.src, r.dst) for r in spark.read.parquet(f"{root}/out").collect()]
+    assert sorted(out) == sorted({(a, b) for a, b, _ in rows})
 
 
 def test_sql_access(spark):
@@ -56,38 +90,72 @@ def test_sql_access(spark):
     assert spark.sql("SELECT occupancy(2, 4L) AS x").first().x == 1 - 0.5**4
     stream = ordering.stream(zipf.zipf_graph(spark, 100, 2.0, 2.0, 30)).withColumn("run", F.lit(1))
     stream.select("run", "src", "dst", "seq").createOrReplaceTempView("stream_t")
-    got = spark.sql("SELECT * FROM partition_edges(TABLE(stream_t) PARTITION BY (run) ORDER BY (seq), 'greedy_indegree', 4)").collect()
-    want = greedy.greedy_indegree(stream, 4).collect()
-    assert {(r.src, r.dst, r.part) for r in got} == {(r.src, r.dst, r.part) for r in want}
+    for method in ("greedy_affinity", "greedy_indegree", "greedy_total_degree"):
+        got = spark.sql(f"SELECT * FROM partition_edges(TABLE(stream_t) PARTITION BY (run) ORDER BY (seq), '{method}', 4)").collect()
+        want = getattr(greedy, method)(stream, 4).collect()
+        assert {(r.src, r.dst, r.part) for r in got} == {(r.src, r.dst, r.part) for r in want}
 
 
-def test_live_equals_batch_and_restarts(spark):
-    stream = ordering.stream(zipf.zipf_graph(spark, 150, 2.0, 2.0, 60, seed=2)).cache()
+def test_live_equals_batch_restarts_and_flushes(spark):
+    """A stopped and restarted query loses no edge, and every held edge is placed in the end."""
+    stream = ordering.stream(zipf.zipf_graph(spark, 150, 2.1, 2.0, 30, seed=2)).cache()
     rows = stream.orderBy("seq").select("src", "dst", "seq").collect()
     root = tempfile.mkdtemp()
     cut = next(k for k in range(len(rows) // 2, len(rows)) if rows[k].src != rows[k - 1].src)
-
-    def run(part, method):
-        spark.createDataFrame(part, "src long, dst long, seq long").coalesce(1).write.mode("append").parquet(f"{root}/{method}/in")
-        s = spark.readStream.schema("src long, dst long, seq long").parquet(f"{root}/{method}/in")
-        q = live.place_live(s, 4, method).writeStream.option("checkpointLocation", f"{root}/{method}/c").trigger(availableNow=True).format("parquet").start(f"{root}/{method}/out")
-        q.awaitTermination()
-
-    for method in ("greedy_indegree", "greedy_total_degree"):
-        run(rows[:cut], method)
-        run(rows[cut:], method)  # a new query from the checkpoint
-        got = {(r.src, r.dst): r.part for r in spark.read.parquet(f"{root}/{method}/out").collect()}
-        want = greedy.greedy_indegree(stream, 4) if method == "greedy_indegree" else greedy.exact(schedule.total_degree_schedule(stream, 4), 4).where(f"place_seq < {len(got)}")
+    for method, rules in (("greedy_indegree", {}), ("greedy_total_degree", {}), ("greedy_total_degree", {"max_buffer": 7})):
+        at = f"{root}/{method}{len(rules)}"
+        for part in (rows[:cut], rows[cut:]):  # a new query from the checkpoint
+            spark.createDataFrame(part, "src long, dst long, seq long").coalesce(1).write.mode("append").parquet(f"{at}/in")
+            live.PlacementStream(4, method, at, **rules).start(spark.readStream.schema("src long, dst long, seq long").parquet(f"{at}/in")).awaitTermination()
+        out = live.PlacementStream(4, method, at, **rules)
+        early = out.placed(spark).count()
+        got = {(r.src, r.dst): r.part for r in out.flush(spark).collect()}
+        assert out.flush(spark).count() == len(got) == len(rows)  # a second flush changes nothing
+        if method == "greedy_indegree":
+            assert early == len(rows)
+            want = greedy.greedy_indegree(stream, 4)
+        elif rules:
+            assert len(rows) - 7 <= early < len(rows)
+            want = greedy.bounded_total_degree(stream, 4, 7)
+        else:
+            assert early < len(rows)
+            want = greedy.greedy_total_degree(stream, 4)
         assert got == {(r.src, r.dst): r.part for r in want.collect()}
+    assert live.live_state(spark, f"{root}/greedy_total_degree0/checkpoint", "vertices").count() > 100  # a row a vertex, not one value
 
 
-def test_snapshot_sink_replays_a_batch(spark):
-    sink = snapshot.SnapshotSink(spark, tempfile.mkdtemp(), 4)
-    batch = spark.createDataFrame([(k % 5, k % 7, k) for k in range(40)], "src long, dst long, event_id long").withColumn("ts", F.timestamp_seconds("event_id"))
-    sink(batch, 0)
-    first = sink.states[0].loads
-    sink(batch, 0)
-    assert sink.states[0].loads == first and sum(first) == 40
+def test_unknown_methods_and_options_are_errors(spark):
+    e = spark.createDataFrame([(1, 2), (2, 3)], "src long, dst long")
+    for method, opts in (("greedy_indegree", {"hub_threshold": 3}), ("greedy_indegree", {"engine": "snapshot", "tie": "hash"}), ("greedy_total_degree", {"engine": "snapshot"}), ("greedy_affinity", {"shards": 3}), ("greedy_affinity", {"engine": "sharded", "tie": "up"}), ("no_such_method", {})):
+        with pytest.raises(ValueError):
+            api.partition(e, method, 4, **opts)
+    with pytest.raises(ValueError):
+        live.place_live(e, 4, "no_such_method")
+    sqlapi.register(spark)
+    e.withColumns({"run": F.lit(1), "seq": F.col("src")}).createOrReplaceTempView("two_edges")
+    with pytest.raises(Exception, match="unknown live method"):
+        spark.sql("SELECT * FROM partition_edges(TABLE(two_edges) PARTITION BY (run) ORDER BY (seq), 'no_such_method', 4)").collect()
+
+
+def test_snapshot_sink_replays_and_restarts(spark):
+    path = tempfile.mkdtemp()
+    made = lambda lo, hi: spark.createDataFrame([(k % 5, k % 7 + k // 40, k) for k in range(lo, hi)], "src long, dst long, event_id long").withColumn("ts", F.timestamp_seconds("event_id"))
+    sink = snapshot.SnapshotSink(spark, path, 4)
+    sink(made(0, 40), 0)
+    first = sink.state()
+    sink(made(0, 40), 0)
+    assert sink.state().loads == first.loads and sum(first.loads) == 40
+    whole = {r.v: (r.mask, r.d_in) for r in first.vertices(spark).collect()}
+    again = snapshot.SnapshotSink(spark, path, 4)  # after a restart
+    assert again.state().loads == first.loads and {r.v: (r.mask, r.d_in) for r in again.state().vertices(spark).collect()} == whole
+    for k in range(1, 11):
+        again(made(40 * k, 40 * k + 40), k)
+    state = again.state()
+    assert sum(state.loads) == 440 and len(state.layers) <= snapshot.LAYERS and len(again.committed()) == 2
+    assert sum(r.d_in for r in state.vertices(spark).collect()) == 440
+    placed = spark.read.parquet(*[f"{path}/batch={k}" for k in range(11)])
+    want = {r.v: r.copies for r in metrics.replica_sets(placed).collect()}
+    assert {r.v: r.mask.bit_count() for r in state.vertices(spark).collect()} == want
 
 
 def test_windows_and_duplicates(spark):
