@@ -290,6 +290,75 @@ def test_toxicity(spark, docs, empty):
     assert toxicity(empty, labels).collect() == []
 
 
+def test_language_id_against_plain_profiles(spark):
+    known = [tuple(r) for r in spark.read.parquet(f"{DIR}/documents.parquet").select("doc_id", "text", "lang").collect()]
+    known += [(k, t, l) for k, (t, l) in enumerate([("ähnlich über Öl", "de"), ("x", "xx"), ("aab aab", "yy"), ("\x00a b", "yy"), ("", "zz"), (None, "zz"), ("7 8", "zz")], 800_001)] + [(None, "Ein Satz ohne Nummer", "de")]
+
+    def grams(t):
+        out = Counter()
+        for word in re.findall(r"[^\W\d_]+", (t or "").lower().replace("\x00", " ")):
+            padded = f" {word} "
+            out.update(word)
+            out.update(padded[k : k + 2] for k in range(len(padded) - 1))
+            out.update(padded[k : k + 3] for k in range(len(padded) - 2))
+        return out
+
+    order = lambda g: [ord(c) if c != " " else 0 for c in g] + [1 << 21] * (3 - len(g))
+    ranked = lambda c: sorted(c, key=lambda g: (-c[g], order(g)))[:300]
+    held = {d: d is not None and zlib.crc32(str(d).encode()) % 3 == 1 for d, _, _ in known}
+    learned = defaultdict(Counter)
+    for d, t, lang in known:
+        if d is not None and not held[d] and t is not None and lang is not None:
+            learned[lang].update(grams(t))
+    profile = {k: {g: n for n, g in enumerate(ranked(c))} for k, c in learned.items() if c}
+    got = defaultdict(set)
+    for r in language_id(spark.createDataFrame(known, "doc_id long, text string, lang string").withColumns({"held": F.lit(1), "rank": F.lit(2), "gram": F.lit(3), "n": F.lit(4)})).collect():
+        got[r.doc_id].add((r.held_out, r.lang_pred, round(r.score, 9)))
+    for d, t, _ in known:
+        mine = ranked(grams(t))
+        away = {k: sum(abs(p[g] - n) if g in p else 300 for n, g in enumerate(mine)) for k, p in profile.items()}
+        best = min(sorted(away), key=away.get) if mine else "und"
+        want = (held[d], best, round(1 - away[best] / (300 * len(mine)), 9) if mine else 0.0)
+        assert want in got[d]
+
+
+def test_toxicity_against_plain_features(spark):
+    from streamcut.llm import toxicity as module
+
+    rng = random.Random(2)
+    word = lambda: "".join(rng.choice("abcdé") for _ in range(rng.randrange(2, 7)))
+    texts = [(i, " ".join([word() for _ in range(12)] + (["Vile\tThing"] if i % 4 == 0 else [])), int(i % 4 == 0)) for i in range(240)] + [(500, "", 0), (501, "abc", 1), (502, None, 1)]
+    docs = spark.createDataFrame([r[:2] for r in texts], "doc_id long, text string").withColumns({"toxic": F.lit(7), "held": F.lit(1), "code": F.lit(2), "task": F.lit(3)})
+    labels = spark.createDataFrame([(r[0], r[2]) for r in texts] + [(None, 1), (7, None), (9999, 1)], "doc_id long, toxic int")
+    got = {r.doc_id: r for r in toxicity(docs, labels).collect()}
+
+    def grams(t):
+        t = re.sub(r"[\t-\r]", " ", lower(t))
+        return {t[k : k + n] for n in module.LENGTHS for k in range(len(t) - n + 1)}
+
+    fit = [(grams(t), y) for d, t, y in texts if t is not None and zlib.crc32(str(d).encode()) % 3 != 1]
+    n1, n0 = sum(y for _, y in fit), sum(1 - y for _, y in fit)
+    count = defaultdict(lambda: [0, 0])
+    for gs, y in fit:
+        for g in gs:
+            count[g][1 - y] += 1
+    chi = lambda a, b: (a * n0 - b * n1) ** 2 / ((a + b) * (n1 + n0 + 1 - a - b))
+    ranked = sorted(count, key=lambda g: -chi(*count[g]))
+    cut = chi(*count[ranked[min(len(ranked), module.FEATURES) - 1]])
+    chosen = [g for g in ranked if chi(*count[g]) >= cut]
+    assert len(chosen) == len(ranked) or len(ranked) > module.FEATURES
+    if len(chosen) == min(len(ranked), module.FEATURES):  # else ties at the cut go by hash
+        ratio = np.array([math.log((count[g][0] + 1) / (n1 + 2)) - math.log((count[g][1] + 1) / (n0 + 2)) for g in chosen])
+        place = {g: k for k, g in enumerate(chosen)}
+        pairs = [(k, place[g]) for k, (gs, _) in enumerate(fit) for g in gs if g in place]
+        weights, bias = module.fit(*(np.array(x) for x in zip(*pairs)), ratio, np.array([y for _, y in fit]))
+        for d, t, _ in texts:
+            z = bias + sum(weights[place[g]] for g in grams(t) if g in place)
+            assert got[d].score == pytest.approx(1 / (1 + math.exp(-z)), abs=1e-3)
+    assert all(r.predicted == (r.score >= 0.7) for r in got.values())
+    assert all(got[d].predicted == y for d, t, y in texts[:240])
+
+
 PATTERNS = {
     "email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)",
     "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
