@@ -7,6 +7,8 @@ term stays below 1 while all other terms are whole numbers.
 
 from __future__ import annotations
 
+from bisect import bisect_left, bisect_right
+
 _M = (1 << 64) - 1
 
 
@@ -74,14 +76,22 @@ class Placer:
 
 
     def run(self, us, vs, cmps, guards, seqs, skips=None) -> list[int | None]:
-        """``place`` for many edges in turn; None for those to skip."""
+        """``place`` for many edges in turn; None for those to skip.
+
+        Parts of equal load are kept as one mask per load, so that the least loaded member of a wide candidate set is
+        found among the few lowest loads rather than by looking at each member.
+        """
         out = []
-        get, put, loads, p, every = self.at.get, self.at.__setitem__, self.loads, self.p, self.every
+        append, get, put, loads, p, every = out.append, self.at.get, self.at.__setitem__, self.loads, self.p, self.every
         num, den = self.guard if self.guard is not None else (0, 0)
         lowest, placed, top = self.tie == "lowest", self.placed, self.top
+        level: dict[int, int] = {}
+        for k, x in enumerate(loads):
+            level[x] = level.get(x, 0) | 1 << k
+        rising = sorted(level)
         for n, (u, v, c, g) in enumerate(zip(us, vs, cmps, guards)):
             if skips is not None and skips[n]:
-                out.append(None)
+                append(None)
                 continue
             a, b = get(u, 0), get(v, 0)
             if g and num and placed and den * p * top >= num * placed:
@@ -89,19 +99,38 @@ class Placer:
             else:
                 mask = a & b or ((a | b) if c == 0 else (a or b) if c < 0 else (b or a)) or every
             if not mask & (mask - 1):
-                k = mask.bit_length() - 1
-            elif lowest and mask == every:
-                k = loads.index(min(loads))
+                bit = mask
+            elif lowest:
+                for x in rising:
+                    if m := mask & level[x]:
+                        bit = m & -m
+                        break
             else:
-                k = self.least(mask, seqs[n])
-            bit = 1 << k
+                bit = 1 << self.least(mask, seqs[n])
+            k = bit.bit_length() - 1
             put(u, a | bit)
             put(v, (a | bit if u == v else b | bit))
-            loads[k] += 1
+            x = loads[k]
+            loads[k] = x + 1
+            rest = level[x] ^ bit
+            if x + 1 in level:
+                level[x + 1] |= bit
+                if rest:
+                    level[x] = rest
+                else:
+                    del level[x]
+                    rising.remove(x)
+            elif rest:
+                level[x], level[x + 1] = rest, bit
+                rising.insert(bisect_right(rising, x), x + 1)
+            else:
+                del level[x]
+                level[x + 1] = bit
+                rising[bisect_left(rising, x)] = x + 1
             placed += 1
-            if loads[k] > top:
-                top = loads[k]
-            out.append(k)
+            if x + 1 > top:
+                top = x + 1
+            append(k)
         self.placed, self.top = placed, top
         return out
 
