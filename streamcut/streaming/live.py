@@ -105,7 +105,9 @@ class _Shard(StatefulProcessor):
             if self.rules.max_buffer is not None and self.ages.exists():
                 seqs, targets = self.ages.get()
                 engine.oldest = {int(n): int(t) for n, t in zip(seqs, targets)}
-                for t in list(engine.oldest.values())[: len(u)]:  # no more can be pushed out by this batch
+                # This batch can push out no more than it has edges, after those that it releases.
+                released = sum(map(len, engine.waiting.values()))
+                for t in list(engine.oldest.values())[: len(u) + released]:
                     waiting(t)
                 before = set(engine.waiting)
             else:
