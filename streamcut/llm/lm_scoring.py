@@ -20,8 +20,9 @@ What a shard must know of a context is its band.  Blocks write it beside the con
 which every task is told.  The bands of the other repeated words go from the counts table straight to the shards whose
 pairs have them as a context, by a join.  Both give the word's own band, so scores don't depend on which way it came.
 
-Words that make up a thousandth of all tokens (there are under a thousand) are dealt by word and context, so that no
-shard grows with them; their counts are sent along.  Contexts are 40-bit codes: 5 bits of band and 35 of hash, so a
+The number of shards follows the number of tokens, so that a shard holds about ``SHARD_TOKENS`` at any size.  Words that
+make up a quarter of a shard (under four times as many words as shards), or a thousandth of all tokens, are dealt by word
+and context, so that no shard grows with them; their counts are sent along.  Contexts are 40-bit codes: 5 bits of band and 35 of hash, so a
 context that was never seen before a word passes for a seen one with a chance of about (contexts of the word) / 2**35.
 
 Odd input: a null text is empty and has the one token "end"; rows that repeat are scored alike and count each in
@@ -46,6 +47,8 @@ STRENGTH, DISCOUNT = 8.0, 0.75
 TOLD = 1 << 20
 #: Asked pairs that a task of the join packs at once.
 PACK = 2_000_000
+#: Training tokens of one shard; there are at least twice as many shards as the session has shuffle partitions.
+SHARD_TOKENS = 2_000_000
 #: Tokens, and documents, of one packed block.
 BLOCK_TOKENS, BLOCK_DOCS = 1_200_000, 60_000
 _U = np.uint64
@@ -105,6 +108,10 @@ class Statistics:
         return np.maximum(c - DISCOUNT, 0) / self.total + DISCOUNT * self.distinct / self.total / (self.distinct + 1)
 
 
+def shards_for(total: int, partitions: int) -> int:
+    return max(2 * partitions, -(-total // SHARD_TOKENS))
+
+
 def statistics(docs: DataFrame, scratch: frames.Scratch) -> tuple[Statistics, DataFrame | None]:
     """Counts of the training rows of ``docs`` (text, held), and the bands (w, band) of repeated words that aren't told."""
 
@@ -136,7 +143,8 @@ def statistics(docs: DataFrame, scratch: frames.Scratch) -> tuple[Statistics, Da
     total, distinct = whole.n or 0, whole.v
     end = int(END.astype(np.int64))
     n_docs = (counts.where(F.col("w") == F.lit(end)).agg(F.sum("c").alias("c")).first().c) or 0
-    often = counts.where(F.col("c") * 1000 >= F.lit(max(total, 1))).orderBy("w").collect()
+    parts = max(1000, 4 * shards_for(total, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    often = counts.where(F.col("c") * parts >= F.lit(max(total, 1))).orderBy("w").collect()  # at most ``parts`` rows
     banded = counts.where("c > 1").select("w", F.least(F.length(F.bin(F.col("c") + 1)) - 1, F.lit(31)).alias("band"))
     words = {r.band: r.n for r in banded.groupBy("band").agg(F.count("*").alias("n")).collect()}
     least = min((b for b in words if sum(n for x, n in words.items() if x >= b) <= TOLD), default=99)
@@ -205,7 +213,7 @@ def _blocks(stats, shards: int):
             before = np.concatenate(([START], ids[:-1]))
             before[np.cumsum(n)[:-1]] = START
             code = _code(before, ids)
-            shard = _shard(ids, code, known, shards).astype(np.uint16)
+            shard = _shard(ids, code, known, shards).astype(np.uint32)
             code |= known.tell(before)[1].astype(_U)
             order = np.lexsort((code, ids, shard))
             shard, ids, code, doc = shard[order], ids[order], code[order], doc[order]
@@ -364,7 +372,7 @@ def score(docs: DataFrame, folds: int = 5) -> DataFrame:
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), held_out("doc_id", folds).alias("held"))
     found, rest = statistics(docs, frames.Scratch(spark, "lm"))
     stats = spark.sparkContext.broadcast(found)
-    shards = 2 * int(spark.conf.get("spark.sql.shuffle.partitions"))
+    shards = shards_for(found.total, int(spark.conf.get("spark.sql.shuffle.partitions")))
     dealt = docs.mapInArrow(_blocks(stats, shards), "shard long, chunk long, w binary, n binary, code binary, doc binary, held binary")
     if rest is not None:
         dealt = dealt.unionByName(_sent(docs, rest, stats, shards))

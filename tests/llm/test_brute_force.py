@@ -81,7 +81,7 @@ def test_jaccard_join(docs, rows, empty):
 def test_jaccard_join_of_a_large_near_copy_group(spark):
     base = [f"word{k}" for k in range(120)]
     made = []
-    for i in range(1500):
+    for i in range(600):
         w = list(base)
         w[(7 * i) % 120] = f"new{i}"
         if i % 3 == 0:
