@@ -129,7 +129,9 @@ def salted_join(left: DataFrame, right: DataFrame, key: str) -> DataFrame:
 
 
 def _root_of(left: DataFrame, up: DataFrame, key: str, out: str) -> DataFrame:
-    return salted_join(left, up.select(F.col("node").alias(key), F.col("root").alias(out)), key)
+    # A hub's rows are one key of ``left``; Spark splits its partition when it is skewed, and salting would send ``up``
+    # several times through the shuffles of each round.
+    return left.join(up.select(F.col("node").alias(key), F.col("root").alias(out)), key, "left")
 
 
 def _follow(roots: DataFrame, up: DataFrame) -> DataFrame:
