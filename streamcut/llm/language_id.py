@@ -73,7 +73,8 @@ def profiles(docs: DataFrame) -> dict[str, np.ndarray]:
             for lang, parts in held.items():
                 keys, n = (np.concatenate(x) for x in zip(*parts))
                 u, inv = np.unique(keys, return_inverse=True)
-                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(u)), pa.array(u), pa.array(np.bincount(inv, n).astype(np.int64))], names=["lang", "gram", "n"])
+                # A language may have no letter in these texts: the types must not follow from the values.
+                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(u), pa.string()), pa.array(u, pa.int64()), pa.array(np.bincount(inv, n, minlength=len(u)).astype(np.int64))], names=["lang", "gram", "n"])
 
         for batch in batches:
             for part in frames.pieces(batch):
@@ -146,7 +147,7 @@ def identify(docs: DataFrame, learned: dict[str, np.ndarray]) -> DataFrame:
         for batch in batches:
             for part in frames.pieces(batch):
                 pred, score = shared.value([t or "" for t in part.column("text").to_pylist()])
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("held_out"), pa.array(pred), pa.array(score)], names=["doc_id", "held_out", "lang_pred", "score"])
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("held_out"), pa.array(pred, pa.string()), pa.array(score, pa.float64())], names=["doc_id", "held_out", "lang_pred", "score"])
 
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), held_out("doc_id").alias("held_out"))
     return docs.mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double")
