@@ -28,3 +28,21 @@ def test_twin_has_the_same_hubs(spark):
     duckdb = pytest.importorskip("duckdb")
     want = set(duckdb.sql(zipf.zipf_sql(6000, 1.9, 1.9)).fetchall())
     assert {tuple(r) for r in zipf.zipf_graph(spark, 6000, 1.9, 1.9).collect()} == want
+
+
+def test_graph_over_the_keys_of_a_table(spark):
+    """Keys with gaps, a null and a repeated one; the SQL gives the same edges, and the query's vertices are customers."""
+    import duckdb
+
+    keys = [(k * 7 - 50,) for k in range(90)] + [(None,), (-50,)]
+    got = sorted(tuple(r) for r in zipf.zipf_on(spark.createDataFrame(keys, "k int"), 1.9, 2.2, 60).collect())
+    values = ", ".join("(NULL)" if k is None else f"({k})" for (k,) in keys)
+    assert got == sorted(duckdb.sql(zipf.zipf_on_sql(f"SELECT v FROM (VALUES {values}) t(v)", 1.9, 2.2, 60)).fetchall())
+    assert {v for e in got for v in e} <= {k for (k,) in keys} and len(got) > 90
+    assert not zipf.zipf_on(spark.createDataFrame([], "k int"), 2.0, 2.0, 60).count()
+    from streamcut import registry
+
+    d = "/root/testdata/sf0.001"
+    customers = {r[0] for r in spark.read.parquet(f"{d}/customer.parquet").select("c_custkey").collect()}
+    rows = registry.QUERIES["zipf_graph_22_22"](spark, d).collect()
+    assert {v for r in rows for v in r} == customers
