@@ -35,3 +35,14 @@ def test_streams_in_the_jvm_measure_as_python_does(spark):
     found = table.select(F.call_function(native.STREAMS, "dst", "at", "jobs")).first()[0]
     want = [r for kind in ("random", "bfs", "dfs") for r in g.run(kind, [j for k, j in jobs if k == kind])]
     assert [tuple(map(int, x.split())) for x in found.split(";")] == want
+
+
+def test_runs_of_a_graph_shared_out_over_tasks(spark, monkeypatch):
+    """Numbers of parts up to 128, in three orders: a task for all runs of a graph, or one for each, gives the same rows."""
+    from streamcut.plans import api
+
+    g = {"g": zipf.zipf_graph(spark, 120, 2.0, 2.0, 40, seed=6)}
+    run = lambda: sorted(tuple(r) for r in api.compare(g, methods=api.FIVE[2:], ps=(4, 96, 128)).collect())
+    together = run()
+    monkeypatch.setattr(whole, "SHARE_NATIVE", 1)
+    assert run() == together and len(together) == 27
