@@ -17,6 +17,8 @@ and labels without a document teach nothing; rows that repeat are scored alike;
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -28,7 +30,10 @@ from .wordhash import Spans, point_codes
 LENGTHS = (5, 7)
 FIT_ROWS, FEATURES, SMOOTHING, PENALTY = 20_000, 2048, 1.0, 1.0
 THRESHOLD = 0.7
+#: Text bytes handled at once, n-grams that a task counts before it hands them on, and those it takes between merges.
+PIECE, HELD, TAKEN = 1 << 19, 2_000_000, 750_000
 _U = np.uint64
+RANGES = np.arange(8, dtype=_U) << _U(61)
 _MAP = np.arange(128, dtype=np.uint32)
 _MAP[65:91] += 32
 _MAP[[9, 10, 11, 12, 13]] = 32
@@ -109,6 +114,53 @@ def held_out(of: str, folds: int = 3):
     return F.coalesce(F.pmod(F.crc32(F.col(of).cast("string").cast("binary")), F.lit(folds)) == 1, F.lit(False))
 
 
+def _summed(codes: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    order = np.argsort(codes)
+    codes, counts = codes[order], counts[order]
+    first = np.flatnonzero(codes[1:] != codes[:-1]) + 1
+    first = np.concatenate(([0], first)) if len(codes) else first
+    return codes[first], np.add.reduceat(counts, first) if len(first) else counts
+
+
+def gram_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows (code, n1, n0): toxic and clean texts that have an n-gram; a code comes once more after each ``HELD`` of them."""
+    held, taken = [[] for _ in RANGES], 0  # by range of codes, so that a merge copies one range; n1 and n0 as one number
+
+    def merge():
+        for k, parts in enumerate(held):
+            if len(parts) > 1:
+                held[k] = [_summed(*map(np.concatenate, zip(*parts)))]
+        return sum(len(codes) for parts in held for codes, _ in parts)
+
+    def rows():
+        for k, parts in enumerate(held):
+            held[k] = []
+            for codes, n in parts:
+                for at in range(0, len(codes), 100_000):
+                    c, m = codes[at : at + 100_000], n[at : at + 100_000]
+                    yield pa.RecordBatch.from_arrays([pa.array(c.view(np.int64)), pa.array(m >> 32), pa.array(m & 0xFFFFFFFF)], names=["code", "n1", "n0"])
+
+    for batch in batches:
+        for part in frames.pieces(batch, limit=PIECE):
+            one = np.where(part.column("toxic").to_numpy() == 1, 1 << 32, 1)
+            for code, doc in grams(part.column("text").to_pylist()):
+                order = np.argsort(code, kind="stable")  # the texts of a code stay in their order
+                code, doc = code[order], doc[order]
+                new = np.flatnonzero((code[1:] != code[:-1]) | (doc[1:] != doc[:-1])) + 1
+                new = np.concatenate(([0], new)) if len(code) else new
+                code, n = _summed(code[new], one[doc[new]])
+                cuts = [*np.searchsorted(code, RANGES).tolist(), len(code)]
+                for parts, lo, hi in zip(held, cuts, cuts[1:]):
+                    parts.append((code[lo:hi], n[lo:hi]))
+                taken += len(code)
+            if taken > TAKEN:
+                taken = 0
+                if merge() > HELD:
+                    yield from rows()
+    merge()
+    yield from rows()
+
+
 def train(docs: DataFrame, labels: DataFrame) -> Model:
     scratch = frames.Scratch(docs.sparkSession, "toxicity")
     known = labels.where("doc_id is not null and toxic is not null").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max(F.col("toxic").cast("int")).alias("toxic"))
@@ -120,36 +172,7 @@ def train(docs: DataFrame, labels: DataFrame) -> Model:
     if not n1 or not n0:
         return Model(np.zeros(0, _U), np.zeros(0), -40.0)
 
-    def count(batches):
-        held, load = [], 0
-
-        def merged():
-            keys, a, b = (np.concatenate(x) for x in zip(*held))
-            u, inv = np.unique(keys, return_inverse=True)
-            return u, np.bincount(inv, a).astype(np.int64), np.bincount(inv, b).astype(np.int64)
-
-        for batch in batches:
-            for part in frames.pieces(batch, limit=1 << 20):
-                y = part.column("toxic").to_numpy() == 1
-                for code, doc in grams(part.column("text").to_pylist()):
-                    order = np.lexsort((doc, code))
-                    code, doc = code[order], doc[order]
-                    new = np.concatenate(([True], (code[1:] != code[:-1]) | (doc[1:] != doc[:-1]))) if len(code) else np.zeros(0, bool)
-                    code, doc = code[new], doc[new]
-                    if not len(code):
-                        continue
-                    first = np.flatnonzero(np.concatenate(([True], code[1:] != code[:-1])))
-                    held.append((code[first], np.add.reduceat(y[doc].astype(np.int64), first), np.add.reduceat((~y[doc]).astype(np.int64), first)))
-                    load += len(first)
-                if load > 3_000_000:
-                    held = [merged()]
-                    load = len(held[0][0]) // 2
-        if held:
-            u, a, b = merged()
-            for k in range(0, len(u), 100_000):
-                yield pa.RecordBatch.from_arrays([pa.array(x[k : k + 100_000].view(np.int64)) for x in (u, a, b)], names=["code", "n1", "n0"])
-
-    counts = rows.mapInArrow(count, "code long, n1 long, n0 long").groupBy("code").agg(F.sum("n1").alias("n1"), F.sum("n0").alias("n0"))
+    counts = rows.mapInArrow(gram_counts, "code long, n1 long, n0 long").groupBy("code").agg(F.sum("n1").alias("n1"), F.sum("n0").alias("n0"))
     gap = F.col("n1") * F.lit(float(n0)) - F.col("n0") * F.lit(float(n1))
     chi = gap * gap / ((F.col("n1") + F.col("n0")) * (F.lit(n1 + n0 + 1.0) - F.col("n1") - F.col("n0")))
     # The counts are those of a bounded sample: few partitions, so that few candidates meet in the last step.
@@ -163,7 +186,7 @@ def train(docs: DataFrame, labels: DataFrame) -> Model:
 
     def features(batches):
         for batch in batches:
-            for part in frames.pieces(batch):
+            for part in frames.pieces(batch, limit=PIECE):
                 doc, at = finder.present(part.column("text").to_pylist())
                 cuts = np.searchsorted(doc, np.arange(part.num_rows + 1))
                 yield pa.RecordBatch.from_arrays([part.column("toxic"), pa.ListArray.from_arrays(pa.array(cuts, pa.int32()), pa.array(at, pa.int32()))], names=["toxic", "at"])
@@ -181,7 +204,7 @@ def score(docs: DataFrame, model: Model) -> DataFrame:
 
     def run(batches):
         for batch in batches:
-            for part in frames.pieces(batch):
+            for part in frames.pieces(batch, limit=PIECE):
                 s = shared.value.scores([t or "" for t in part.column("text").to_pylist()])
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), part.column("held_out"), pa.array(s), pa.array((s >= THRESHOLD).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 
