@@ -46,3 +46,16 @@ def test_runs_of_a_graph_shared_out_over_tasks(spark, monkeypatch):
     together = run()
     monkeypatch.setattr(whole, "SHARE_NATIVE", 1)
     assert run() == together and len(together) == 27
+
+
+def test_shares_of_runs_read_one_kept_graph(spark, monkeypatch):
+    """The edges are sorted once for all shares; hashes come with them."""
+    from streamcut.plans import api
+
+    g = {"g": zipf.zipf_graph(spark, 120, 2.0, 2.0, 40, seed=6), "none": spark.createDataFrame([], "src long, dst long")}
+    run = lambda: sorted(tuple(r) for r in api.compare(g, ps=(4, 48, 96)).collect())
+    together, made, graph = run(), [], whole._graph
+    monkeypatch.setattr(whole, "SHARE_KEPT", 1)
+    monkeypatch.setattr(whole, "_graph", lambda *a: made.append(a) or graph(*a))
+    assert run() == together and len(together) == 45
+    assert len(made) == 2  # a graph each, for 33 runs
