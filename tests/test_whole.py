@@ -61,3 +61,28 @@ def test_ablations_in_tasks_as_plans(spark, monkeypatch):
     inside = run()
     monkeypatch.setattr(whole, "EDGES", -1)
     assert inside == run() and len(inside) == 15
+
+
+def test_a_stream_of_few_vertices_stays_in_one_task(spark, some, monkeypatch):
+    """Whether one task runs the batches goes by the vertices, of which it holds a row each, whatever the edges."""
+    stream = keep(ordering.stream(some["a"], "random"), "stream")
+    n, n_vertices = stream.count(), stream.select(F.explode(F.array("src", "dst")).alias("v")).distinct().count()
+    want = {tuple(r) for r in snapshot.run_batches(stream, 6, 90, seed=2).collect()}
+    monkeypatch.setattr(snapshot, "WHOLE", n_vertices)
+    monkeypatch.setattr(snapshot, "step", lambda *a, **k: pytest.fail("a batch has jobs of its own"))
+    assert n > n_vertices and {tuple(r) for r in snapshot.run_batches(stream, 6, 90, seed=2).collect()} == want
+
+
+def test_snapshot_engine_runs_once_for_all_measures(spark, some):
+    placement = api.partition(some["a"], "greedy_indegree", 6, engine="snapshot", batch=90)
+    assert "MapInArrow" not in placement.placed._jdf.queryExecution().toString()
+
+
+def test_an_engine_and_its_reference_share_one_stream(spark, monkeypatch):
+    """The query's words are read and its edges put in order once, for the engine and for what it is measured against."""
+    from streamcut import registry
+
+    made, stream = [], ordering.stream
+    monkeypatch.setattr(ordering, "stream", lambda *a, **k: made.append(a) or stream(*a, **k))
+    row = registry.QUERIES["greedy_snapshot_word_next_conv"](spark, "/root/testdata/sf0.001").first()
+    assert len(made) == 1 and row.engine == "snapshot" and row.engine_gap > -1
