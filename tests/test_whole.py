@@ -86,3 +86,15 @@ def test_an_engine_and_its_reference_share_one_stream(spark, monkeypatch):
     monkeypatch.setattr(ordering, "stream", lambda *a, **k: made.append(a) or stream(*a, **k))
     row = registry.QUERIES["greedy_snapshot_word_next_conv"](spark, "/root/testdata/sf0.001").first()
     assert len(made) == 1 and row.engine == "snapshot" and row.engine_gap > -1
+
+
+def test_ablations_of_more_edges_than_vertices_start_no_jobs_a_batch(spark, monkeypatch):
+    """The snapshot engines go by vertices here too; every variant and engine has its row."""
+    from streamcut.plans import experiments
+
+    monkeypatch.setattr(experiments, "VARIANTS", {"default": experiments.VARIANTS["default"]})
+    monkeypatch.setattr(snapshot, "WHOLE", 25)  # as many as nations
+    monkeypatch.setattr(snapshot, "step", lambda *a, **k: pytest.fail("a batch has jobs of its own"))
+    rows = experiments.ablations(spark, "/root/testdata/sf0.001", "nation_flow", 4, ("random",)).collect()
+    assert sorted(r.variant for r in rows) == sorted(["default"] * 3 + ["in-degree without the edge itself", "final degrees", "sharded 2", "sharded 8", "sharded 32", "snapshot 5000", "snapshot 50000"])
+    assert all(r.replication_factor >= 1 and r.imbalance >= 1 for r in rows)
